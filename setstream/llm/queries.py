@@ -5,7 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .runtime import materialise, table
+from .runtime import table
+
+
+def op1_subword_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .subword_quality import classify
+
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), threshold=0.3)
 
 
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -39,6 +45,12 @@ def op6_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op7_mil_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .mil_toxicity import classify
+
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), threshold=0.5)
+
+
 def op9_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .simhash_trie import near_duplicates
 
@@ -53,4 +65,4 @@ def op10_shard_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-QUERIES = {f.__name__: f for f in (op4_byte_bpe, op6_decontaminate, op9_simhash_groups, op10_shard_packing)}
+QUERIES = {f.__name__: f for f in (op1_subword_quality, op4_byte_bpe, op6_decontaminate, op7_mil_toxicity, op9_simhash_groups, op10_shard_packing)}
