@@ -23,8 +23,8 @@ from pyspark.sql import types as T
 
 from .text import chunks
 
-#: Entries of a worker's piece cache; it is emptied when full.
-CACHE = 200_000
+#: Pieces in each of the two generations that a worker remembers.
+CACHE = 100_000
 
 
 def read_ranks(path: str) -> list[bytes]:
@@ -66,68 +66,93 @@ class Vocabulary:
         self.merged = {(self.left[i], self.right[i]): i for i in range(len(tokens)) if self.left[i] != i}
 
 
-class Encoder:
-    """Encodes pieces and texts. One is kept by each worker process."""
+class Pairs(dict):
+    """Whether token b may follow token a, by ``a << 32 | b``; worked out once for each pair.
+
+    The pair stands if the merges of a's bytes followed by b's end in exactly a, b. Undo merges next to the seam, the later
+    one first; a merge across the seam that would have come before the one undone last would have been made, so the pair
+    can't stand.
+    """
+
+    def __init__(self, vocabulary: Vocabulary):
+        super().__init__()
+        self.vocabulary = vocabulary
+
+    def __missing__(self, key: int) -> bool:
+        v, x, y, undone, stands = self.vocabulary, key >> 32, key & 0xFFFFFFFF, 1 << 60, True
+        while True:
+            across = v.merged.get((x, y))
+            if across is not None and across < undone:
+                stands = False
+                break
+            whole_x, whole_y = v.right[x] == x, v.left[y] == y
+            if whole_x and whole_y:
+                break
+            if whole_y or (not whole_x and x > y):
+                undone, x = x, v.right[x]
+            else:  # at equal ranks the left merge is made first, so y's own merge still precedes
+                undone, y = y + 1, v.left[y]
+        if len(self) >= 2 * CACHE:
+            self.clear()
+        self[key] = stands
+        return stands
+
+
+class Encoder(dict):
+    """Encodes texts; as a dict, the pieces it remembers. One is kept by each worker process."""
 
     def __init__(self, vocabulary: Vocabulary, pattern: str):
         import ahocorasick
         import regex
 
+        super().__init__()
         v = self.vocabulary = vocabulary
         self.length = [len(t) for t in v.tokens]
+        self.reach = max(self.length)
         self.split = regex.compile(pattern).findall
         self.automaton = ahocorasick.Automaton()
         for i, t in enumerate(v.tokens):
             self.automaton.add_word(t.decode("latin-1"), i)
         self.automaton.make_automaton()
-        self.whole = {t.decode("latin-1"): (i,) for i, t in enumerate(v.tokens)}
-        self.pairs: dict[tuple[int, int], bool] = {}
-        self.cache: dict[str, tuple[int, ...]] = {}
-
-    def compatible(self, a: int, b: int) -> bool:
-        """Whether the merges of token a's bytes followed by token b's end in exactly a, b. Remembered by pair.
-
-        Undo merges next to the seam, the later one first; a merge across the seam that would have come before the one
-        undone last would have been made, so the pair can't stand.
-        """
-        known = self.pairs.get((a, b))
-        if known is None:
-            v, x, y, undone = self.vocabulary, a, b, 1 << 60
-            known = True
-            while True:
-                across = v.merged.get((x, y))
-                if across is not None and across < undone:
-                    known = False
-                    break
-                whole_x, whole_y = v.right[x] == x, v.left[y] == y
-                if whole_x and whole_y:
-                    break
-                if whole_y or (not whole_x and x > y):
-                    undone, x = x, v.right[x]
-                else:  # at equal ranks the left merge is made first, so y's own merge still precedes
-                    undone, y = y + 1, v.left[y]
-            if len(self.pairs) > 2 * CACHE:
-                self.pairs.clear()
-            self.pairs[(a, b)] = known
-        return known
-
-    def piece(self, latin: str) -> tuple[int, ...]:
-        whole = self.whole.get(latin)
+        self.pairs = Pairs(v)
+        self.before: dict[str, tuple[int, ...]] = {}  # the generation before, emptied as it is used
+
+    def __missing__(self, piece: str) -> tuple[int, ...]:
+        got = self.before.pop(piece, None)
+        if got is None:
+            got = self.encode_piece(piece.encode())
+        if len(self) >= CACHE:
+            self.before = dict(self)
+            self.clear()
+        self[piece] = got
+        return got
+
+    def encode_piece(self, piece: bytes) -> tuple[int, ...]:
+        whole = self.vocabulary.rank.get(piece)
         if whole is not None:
-            return whole
-        length, prefix, compatible = self.length, self.vocabulary.prefix, self.compatible
-        longest = [-1] * (len(latin) + 1)
-        for end, token in self.automaton.iter(latin):
-            start = end + 1 - length[token]
-            if longest[start] < 0 or length[longest[start]] < length[token]:
-                longest[start] = token
-        out: list[int] = []
-        dead, at, token, n = set(), 0, longest[0], len(latin)
-        while at < n:
+            return (whole,)
+        latin, pairs, longest = piece.decode("latin-1"), self.pairs, self.automaton.iter_long
+        greedy = [token for _, token in longest(latin)]
+        last = greedy[0]
+        for i in range(1, len(greedy)):
+            token = greedy[i]
+            if not pairs[last << 32 | token]:
+                break
+            last = token
+        else:
+            return tuple(greedy)
+        # From the first pair that can't stand: shorter tokens, steps back, and longest matches where they are needed.
+        length, prefix, reach, n = self.length, self.vocabulary.prefix, self.reach, len(latin)
+        out, token, dead = greedy[:i], greedy[i], set()
+        at = sum([length[x] for x in out])
+        while True:
             end = at + length[token]
-            if end not in dead and (not out or compatible(out[-1], token)):
+            if end not in dead and (not out or pairs[out[-1] << 32 | token]):
                 out.append(token)
-                at, token = end, longest[end]
+                if end == n:
+                    return tuple(out)
+                at = end
+                token = next(longest(latin[at : at + reach]))[1]
                 continue
             token = prefix[token]
             while token < 0:  # nothing fits here: this position can't be a boundary
@@ -135,20 +160,9 @@ class Encoder:
                 token = out.pop()
                 at -= length[token]
                 token = prefix[token]
-        return tuple(out)
-
-    def encode(self, text: str) -> list[tuple[int, ...]]:
-        cache, whole, out = self.cache, self.whole, []
-        for p in self.split(text):
-            got = cache.get(p)
-            if got is None:
-                latin = p.encode().decode("latin-1")
-                got = whole.get(latin) or self.piece(latin)
-                if len(cache) >= CACHE:
-                    cache.clear()
-                cache[p] = got
-            out.append(got)
-        return out
+
+    def encode(self, text: str) -> list[int]:
+        return list(chain.from_iterable(map(self.__getitem__, self.split(text))))
 
 
 _ENCODERS: dict[str, Encoder] = {}
@@ -183,10 +197,10 @@ def encode_decode(docs: DataFrame, path: str, pattern: str, text_col: str = "tex
             for a, b in chunks(column):
                 ids, counts, decoded = [], [0], []
                 for text in column.slice(a, b - a).to_pylist():
-                    own = list(chain.from_iterable(encoder.encode(text))) if text else []
+                    own = encoder.encode(text) if text else []
                     ids.append(np.array(own, np.int32))
                     counts.append(len(own))
-                    decoded.append(b"".join([tokens[i] for i in own]))
+                    decoded.append(b"".join(map(tokens.__getitem__, own)))
                 lists = pa.ListArray.from_arrays(pa.array(np.cumsum(counts), pa.int32()), pa.array(np.concatenate(ids), pa.int32()))
                 kept = [batch.column(c).slice(a, b - a) for c in rest]
                 yield pa.RecordBatch.from_arrays([*kept, lists, pa.array(decoded, pa.binary())], names=[*rest, "token_ids", "decoded"])
