@@ -29,4 +29,21 @@ SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, c
 FROM doc LEFT JOIN hit USING (row_id) LEFT JOIN named USING (row_id)
 """
 
-ORACLES = {"op6_decontaminate": OP6}
+OP5 = r"""
+WITH doc AS (
+  SELECT row_number() OVER () AS row_id, doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents
+), win AS (
+  SELECT row_id, doc_id, i - 1 AS s, md5(array_to_string(w[i:i + 49], ' ')) AS h
+  FROM (SELECT row_id, doc_id, w, unnest(range(1, len(w) - 48)) AS i FROM doc WHERE len(w) >= 50)
+), rep AS (
+  SELECT h, min(doc_id) AS least FROM win GROUP BY 1 HAVING count(*) > 1
+), hit AS (
+  SELECT row_id, doc_id, s, least, lag(s) OVER (PARTITION BY row_id ORDER BY s) AS before FROM win JOIN rep USING (h)
+), island AS (
+  SELECT *, sum(CASE WHEN before IS NULL OR s > before + 50 THEN 1 ELSE 0 END) OVER (PARTITION BY row_id ORDER BY s) AS k FROM hit
+)
+SELECT doc_id, min(s)::BIGINT AS from_word, (max(s) + 50)::BIGINT AS to_word, min(least) AS first_doc_id
+FROM island GROUP BY row_id, doc_id, k
+"""
+
+ORACLES = {"op5_suffix_repeats": OP5, "op6_decontaminate": OP6}

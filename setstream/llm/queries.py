@@ -29,6 +29,12 @@ def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import repeated_passages
+
+    return repeated_passages(table(spark, sf_dir, "documents").select("doc_id", "text"), length=50)
+
+
 def op6_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .decontam import hit_words, overlaps
 
@@ -65,4 +71,4 @@ def op10_shard_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-QUERIES = {f.__name__: f for f in (op1_subword_quality, op4_byte_bpe, op6_decontaminate, op7_mil_toxicity, op9_simhash_groups, op10_shard_packing)}
+QUERIES = {f.__name__: f for f in (op1_subword_quality, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op9_simhash_groups, op10_shard_packing)}
