@@ -57,6 +57,12 @@ def op7_mil_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), threshold=0.5)
 
 
+def op8_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .multi_index_hash import search
+
+    return search(table(spark, sf_dir, "embeddings"), every=20, k=20)
+
+
 def op9_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .simhash_trie import near_duplicates
 
@@ -71,4 +77,4 @@ def op10_shard_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-QUERIES = {f.__name__: f for f in (op1_subword_quality, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op9_simhash_groups, op10_shard_packing)}
+QUERIES = {f.__name__: f for f in (op1_subword_quality, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op8_multi_index, op9_simhash_groups, op10_shard_packing)}
