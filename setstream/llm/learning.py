@@ -8,7 +8,9 @@ from pyspark.sql import functions as F
 #: Labelled documents that a classifier is fitted on, of each label value, at most.
 SAMPLE_ROWS = 4000
 #: Bytes of text that a classifier is fitted on, at most; whole texts in hash order of doc_id until full.
-SAMPLE_BYTES = 48 << 20
+SAMPLE_BYTES = 16 << 20
+#: Labelled documents of more bytes are not fitted on (they are scored whole like any other).
+SAMPLE_LENGTH = 8192
 
 
 def is_held_out(doc_id: Column) -> Column:
@@ -28,7 +30,7 @@ def training_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int =
         part = known.where(F.col("_label") == value).distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
         ids = part if ids is None else ids.unionByName(part)
     ids = ids.groupBy("doc_id").agg(F.min("_label").alias("_label"))
-    texts = docs.where("text is not null").select("doc_id", "text").join(F.broadcast(ids), "doc_id")  # at most 2 * rows ids
+    texts = docs.where(F.octet_length("text") <= SAMPLE_LENGTH).select("doc_id", "text").join(F.broadcast(ids), "doc_id")  # at most 2 * rows ids
     once = texts.groupBy("doc_id", "_label").agg(F.min("text").alias("text"))
     got = sorted(once.collect(), key=lambda r: hash_order(r["doc_id"]))
     out_texts, out_labels, used = [], [], 0

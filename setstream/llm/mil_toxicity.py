@@ -31,8 +31,8 @@ STEMS = (4, 5, 6, 7)
 LEAST_DOCUMENTS = 4
 #: Features whose share of documents differs between the labels by fewer standard errors carry no weight either.
 LEAST_Z = 4.0
-#: Labelled documents of each label that the weights are fitted on, at most.
-SAMPLE_ROWS = 3000
+#: Bytes of text whose features are held at once while fitting.
+FIT_BYTES = 1 << 19
 START_BIAS = -7.0
 
 _ENDS = np.zeros(256, bool)
@@ -83,28 +83,31 @@ class NoisyOrModel:
         y = np.array(labels, bool)
         if not len(y):
             return model
-        bucket, sentence, doc, n_sentences, n_docs = [], [], [], 0, 0
         column = pa.array(texts, pa.large_string())
-        for a, b in chunks(column):
+        # First pass, a chunk at a time: documents of each label that hold each feature.
+        toxic, clean = np.zeros(BUCKETS, np.int32), np.zeros(BUCKETS, np.int32)
+        for a, b in chunks(column, FIT_BYTES):
             s = Sentences(*raw(column.slice(a, b - a)))
-            bucket.append(s.bucket)
-            sentence.append(s.sentence + n_sentences)
-            doc.append(s.doc + n_docs)
-            n_sentences += len(s.doc)
-            n_docs += b - a
-        bucket, sentence, doc = np.concatenate(bucket), np.concatenate(sentence), np.concatenate(doc)
-        if not len(bucket):
-            return model
-        in_docs = np.unique(doc[sentence] * BUCKETS + bucket)
-        both = np.bincount(in_docs % BUCKETS, minlength=BUCKETS)
-        toxic = np.bincount(in_docs[y[in_docs // BUCKETS]] % BUCKETS, minlength=BUCKETS)
+            in_docs = np.unique(s.doc[s.sentence] * BUCKETS + s.bucket)
+            of = y[a:b][in_docs // BUCKETS]
+            toxic += np.bincount(in_docs[of] % BUCKETS, minlength=BUCKETS).astype(np.int32)
+            clean += np.bincount(in_docs[~of] % BUCKETS, minlength=BUCKETS).astype(np.int32)
         n1, n0 = max(1, int(y.sum())), max(1, int((~y).sum()))
-        share = np.clip(both / (n1 + n0), 1e-9, 1 - 1e-9)
-        z = (toxic / n1 - (both - toxic) / n0) / np.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
-        telling = (both >= LEAST_DOCUMENTS) & (np.abs(z) >= LEAST_Z)
-        keep = telling[bucket]
+        share = np.clip((toxic + clean) / (n1 + n0), 1e-9, 1 - 1e-9)
+        z = (toxic / n1 - clean / n0) / np.sqrt(share * (1 - share) * (1 / n1 + 1 / n0))
+        telling = (toxic + clean >= LEAST_DOCUMENTS) & (np.abs(z) >= LEAST_Z)
         used, number = np.flatnonzero(telling), np.cumsum(telling) - 1
-        once = np.unique(sentence[keep] * BUCKETS + number[bucket[keep]])
+        if not len(used):
+            return model
+        # Second pass: sentences with the telling features alone.
+        parts, doc, n_sentences = [], [], 0
+        for a, b in chunks(column, FIT_BYTES):
+            s = Sentences(*raw(column.slice(a, b - a)))
+            keep = telling[s.bucket]
+            parts.append(np.unique((s.sentence[keep] + n_sentences) * BUCKETS + number[s.bucket[keep]]))
+            doc.append(s.doc + a)
+            n_sentences += len(s.doc)
+        once, doc, n_docs = np.concatenate(parts), np.concatenate(doc), len(y)
         sentence, dense = once // BUCKETS, once % BUCKETS
         cost = np.where(y, 0.5 / max(1, y.sum()), 0.5 / max(1, (~y).sum())) * len(y)
         x = np.zeros(len(used) + 1)
@@ -169,7 +172,7 @@ def score(docs: DataFrame, model: NoisyOrModel, threshold: float = 0.5, text_col
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> NoisyOrModel:
-    return NoisyOrModel.fit(*training_sample(docs, labels, "toxic", SAMPLE_ROWS))
+    return NoisyOrModel.fit(*training_sample(docs, labels, "toxic"))
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.5) -> DataFrame:
