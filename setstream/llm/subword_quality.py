@@ -57,7 +57,7 @@ class SubwordModel:
         layer, bias = np.zeros((2, DIMENSIONS), np.float32), np.zeros(2, np.float32)
         bags = []
         column = pa.array(texts, pa.large_string())
-        for a, b in chunks(column):
+        for a, b in chunks(column, 1 << 18):
             data, offsets = raw(column.slice(a, b - a))
             found = features(data, offsets)
             bucket, at = np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
@@ -66,7 +66,7 @@ class SubwordModel:
             edge = np.searchsorted(doc[order], np.arange(b - a + 1))
             for i in range(b - a):
                 ids, n = np.unique(bucket[order[edge[i] : edge[i + 1]]], return_counts=True)
-                bags.append((ids, (n / max(1, n.sum())).astype(np.float32)))
+                bags.append((ids.astype(np.int32), (n / max(1, n.sum())).astype(np.float32)))
         steps, done = max(1, epochs * len(bags)), 0
         for _ in range(epochs):
             for i in rng.permutation(len(bags)):
