@@ -14,6 +14,18 @@ def op1_subword_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), threshold=0.3)
 
 
+def op3_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .contextual_pii import KINDS, count_of, scan, spelled
+
+    found = scan(table(spark, sf_dir, "documents"))
+    return found.select(
+        "doc_id",
+        *[count_of(F.col("base"), kind).alias(f"n_{kind}") for kind in KINDS],
+        F.sha2(spelled(F.col("base")), 256).alias("base_sha256"),
+        spelled(F.col("spans")).alias("spans"),
+    )
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -77,4 +89,4 @@ def op10_shard_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-QUERIES = {f.__name__: f for f in (op1_subword_quality, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op8_multi_index, op9_simhash_groups, op10_shard_packing)}
+QUERIES = {f.__name__: f for f in (op1_subword_quality, op3_contextual_pii, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op8_multi_index, op9_simhash_groups, op10_shard_packing)}
