@@ -14,6 +14,12 @@ def op1_subword_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), threshold=0.3)
 
 
+def op2_template_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .template_html import extract
+
+    return extract(table(spark, sf_dir, "pages")).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def op3_contextual_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .contextual_pii import KINDS, count_of, scan, spelled
 
@@ -89,4 +95,4 @@ def op10_shard_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-QUERIES = {f.__name__: f for f in (op1_subword_quality, op3_contextual_pii, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op8_multi_index, op9_simhash_groups, op10_shard_packing)}
+QUERIES = {f.__name__: f for f in (op1_subword_quality, op2_template_text, op3_contextual_pii, op4_byte_bpe, op5_suffix_repeats, op6_decontaminate, op7_mil_toxicity, op8_multi_index, op9_simhash_groups, op10_shard_packing)}
