@@ -136,7 +136,7 @@ def repeated_passages(docs: DataFrame, length: int = 50, gram: int = 20) -> Data
     )
     release(spark)
     found = windows.join(repeated, "hash").groupBy("digest").agg(F.array_sort(F.collect_list(F.struct("start", "least"))).alias("hits"))
-    spans = materialise(found.select("digest", merged(F.col("hits"), length).alias("spans")), "spans")
+    spans = materialise(_merged(found, length), "spans")
     for done in (windows, repeated, kept):
         discard(done)
     release(spark)
@@ -148,24 +148,31 @@ def repeated_passages(docs: DataFrame, length: int = 50, gram: int = 20) -> Data
     return out.select("doc_id", F.col("s.from_word").cast("long").alias("from_word"), F.col("s.to_word").cast("long").alias("to_word"), F.col("s.first_doc_id").alias("first_doc_id"))
 
 
-def merged(hits, length: int):
-    """Window starts of one text, ascending, as maximal spans."""
+def _merged(hits: DataFrame, length: int) -> DataFrame:
+    """(digest, spans): the window starts of each text, ascending, as maximal spans."""
+    schema = "digest binary, spans array<struct<from_word:int,to_word:int,first_doc_id:long>>"
+    none = np.iinfo(np.int64).max
 
-    @F.pandas_udf("array<struct<from_word:int,to_word:int,first_doc_id:long>>")
-    def spans(column):
-        import pandas as pd
-
-        out = []
-        for own in column:
-            start = np.array([h["start"] for h in own], np.int64)
-            new = np.flatnonzero(np.r_[True, start[1:] > start[:-1] + length])
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            column = batch.column(1)
+            rows = column.value_lengths().to_numpy(zero_copy_only=False)
+            flat = column.flatten()
+            if not len(flat):
+                continue
+            start = flat.field(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            least = flat.field(1).fill_null(none).to_numpy(zero_copy_only=False)
+            row = np.repeat(np.arange(len(rows)), rows)
+            new = np.flatnonzero(np.r_[True, (start[1:] > start[:-1] + length) | (row[1:] != row[:-1])])
             end = start[np.r_[new[1:], len(start)] - 1] + length
-            bounds = [*new.tolist(), len(start)]
-            least = [min((own[i]["least"] for i in range(a, b) if own[i]["least"] is not None), default=None) for a, b in zip(bounds, bounds[1:], strict=False)]
-            out.append([{"from_word": int(s), "to_word": int(e), "first_doc_id": d} for s, e, d in zip(start[new], end, least, strict=True)])
-        return pd.Series(out)
-
-    return spans(hits)
+            first = np.minimum.reduceat(least, new)
+            spans = pa.StructArray.from_arrays(
+                [pa.array(start[new].astype(np.int32)), pa.array(end.astype(np.int32)), pa.array(first, mask=first == none)], names=["from_word", "to_word", "first_doc_id"]
+            )
+            edge = pa.array(np.searchsorted(row[new], np.arange(len(rows) + 1)), pa.int32())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(edge, spans)], names=["digest", "spans"])
+
+    return hits.select("digest", "hits").mapInArrow(run, schema)
 
 
 def drop_repeats(docs: DataFrame, length: int = 50) -> DataFrame:
