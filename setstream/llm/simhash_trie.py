@@ -19,7 +19,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -71,19 +71,20 @@ def text_fingerprints(data: np.ndarray, offsets: np.ndarray, shingle: int) -> np
     return out
 
 
-def fingerprints(docs: DataFrame, shingle: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, fp): the fingerprint of every row as a signed long of the same bits."""
-    schema = T.StructType([docs.schema[id_col], T.StructField("fp", T.LongType(), False)])
+def fingerprints(docs: DataFrame, shingle: int = 4, keep: tuple[str, ...] = ("doc_id",), text_col: str = "text") -> DataFrame:
+    """The columns ``keep`` and ``fp``: the fingerprint of every row as a signed long of the same bits."""
+    schema = T.StructType([*(docs.schema[c] for c in keep), T.StructField("fp", T.LongType(), False)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            column = batch.column(1)
+            column = batch.column(len(keep))
             for a, b in chunks(column):
                 data, offsets = raw(column.slice(a, b - a))
                 got = text_fingerprints(data, offsets, shingle).view(np.int64)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(got)], names=[id_col, "fp"])
+                kept = [batch.column(i).slice(a, b - a) for i in range(len(keep))]
+                yield pa.RecordBatch.from_arrays([*kept, pa.array(got)], names=[*keep, "fp"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, schema)
+    return docs.select(*keep, text_col).mapInArrow(run, schema)
 
 
 def bit_blocks(blocks: int) -> list[tuple[int, int]]:
@@ -260,12 +261,31 @@ def connect(links: DataFrame, rounds: int = 60) -> DataFrame:
     return pairs.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 4, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, fp, component_id): every row with its fingerprint and the smallest id its links reach."""
-    own = materialise(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
+def _rooted(own: DataFrame, radius: int, id_col: str) -> DataFrame:
+    """(fp, least, root): distinct fingerprints, the smallest id of each, and the fingerprint that names its group."""
     distinct = materialise(own.groupBy("fp").agg(F.min(id_col).alias("least")), "distinct")
     roots = connect(hamming_links(distinct.select("fp"), radius))
-    labelled = distinct.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    return distinct.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 4, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(id, fp, component_id): every row with its fingerprint and the smallest id its links reach."""
+    own = materialise(fingerprints(docs, shingle, (id_col,), text_col), "fingerprints")
+    labelled = _rooted(own, radius, id_col)
     smallest = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
     named = labelled.join(smallest, "root").select("fp", "component_id")
     return own.join(named, "fp").select(id_col, "fp", "component_id")
+
+
+def keep_one(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataFrame:
+    """One row of each group of near-duplicates, with all its columns: that of the smallest doc_id (null last; of equal ids one)."""
+    text = F.coalesce("text", F.lit(""))
+    keyed = docs.withColumn("_a", F.xxhash64("doc_id", text)).withColumn("_b", F.xxhash64(text, "doc_id", F.lit(1)))
+    own = materialise(fingerprints(keyed, shingle, ("doc_id", "_a", "_b")), "fingerprints")
+    labelled = _rooted(own, radius, "doc_id").select("fp", "root")
+    order = F.struct(F.isnull("doc_id").alias("no_id"), "doc_id", "_a", "_b")
+    winners = own.join(labelled, "fp").groupBy("root").agg(F.min(order).alias("w")).select("w._a", "w._b")
+    # Identical rows have one key; the join leaves them side by side.
+    first = Window.partitionBy("_a", "_b").orderBy("_a", "_b")
+    kept = keyed.join(winners, ["_a", "_b"], "left_semi").withColumn("_n", F.row_number().over(first)).where("_n = 1")
+    return kept.select(*docs.columns)
