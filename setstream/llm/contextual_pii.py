@@ -67,33 +67,35 @@ def _holds(kind: str, match: Column) -> Column:
     return F.lit(True)
 
 
-def spans_of(text: Column, pattern: str, needs: str | None = None) -> Column:
-    """array<struct<start, end, match>> of a pattern's matches in code points; texts without ``needs`` are passed over."""
-    rest = F.zip_with(
-        F.slice(F.split(text, pattern, -1), F.lit(1), F.size(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)))),
-        F.regexp_extract_all(text, F.lit(pattern), F.lit(0)),
-        lambda gap, match: F.struct(F.length(gap).alias("gap"), match.alias("match")),
-    )
+def spans_of(text: Column, pattern: str, needs: Column) -> Column:
+    """array<struct<start, end, match>> of a pattern's matches in code points, in texts that ``needs`` lets through."""
+    # One gap more than matches: the last comes with a null match.
+    pieces = F.zip_with(F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda gap, match: F.struct(F.length(gap).alias("gap"), match.alias("match")))
     empty = F.array().cast("array<struct<start:int,end:int,match:string>>")
 
     def add(done, x):
         start = done["at"] + x["gap"]
         end = start + F.length(x["match"])
-        return F.struct(end.alias("at"), F.concat(done["spans"], F.array(F.struct(start.alias("start"), end.alias("end"), x["match"].alias("match")))).alias("spans"))
+        more = F.concat(done["spans"], F.array(F.struct(start.alias("start"), end.alias("end"), x["match"].alias("match"))))
+        return F.struct(end.alias("at"), F.when(x["match"].isNull(), done["spans"]).otherwise(more).alias("spans"))
+
+    found = F.aggregate(pieces, F.struct(F.lit(0).alias("at"), empty.alias("spans")), add, lambda done: done["spans"])
+    return F.when(needs, found).otherwise(empty)
+
 
-    found = F.aggregate(rest, F.struct(F.lit(0).alias("at"), empty.alias("spans")), add, lambda done: done["spans"])
-    return F.when(F.contains(text, F.lit(needs)), found).otherwise(empty) if needs else found
+def has_digit(text: Column) -> Column:
+    return text.rlike("[0-9]")
 
 
-def _kind_spans(text: Column, kind: str) -> Column:
-    needs = {"email": "@", "ip": ".", "phone": "+"}.get(kind)
+def _kind_spans(text: Column, kind: str, digit: Column) -> Column:
+    needs = {"email": F.contains(text, F.lit("@")), "ip": digit & F.contains(text, F.lit(".")), "card": digit, "phone": digit & F.contains(text, F.lit("+"))}[kind]
     kept = F.filter(spans_of(text, PATTERNS[kind], needs), lambda s: _holds(kind, s["match"]))
     return F.transform(kept, lambda s: F.struct(F.lit(KINDS.index(kind)).alias("order"), s["start"].alias("start"), s["end"].alias("end")))
 
 
-def base_spans(text: Column) -> Column:
-    """array<struct<order, start, end>>, kinds in their listed order."""
-    return F.concat(*[_kind_spans(text, kind) for kind in KINDS])
+def base_spans(text: Column, digit: Column) -> Column:
+    """array<struct<order, start, end>>, kinds in their listed order; ``digit``: the text has one (see ``has_digit``)."""
+    return F.concat(*[_kind_spans(text, kind, digit) for kind in KINDS])
 
 
 def _plausible(word: Column) -> Column:
@@ -110,8 +112,10 @@ def _plausible(word: Column) -> Column:
 def prepare(docs: DataFrame) -> DataFrame:
     """(doc_id, row_key, base, mentions) of every row; ``row_key`` tells texts apart. Written once: texts are scanned here only."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    own = docs.select("doc_id", text.alias("text"))
-    own = own.select("doc_id", F.struct(F.xxhash64("text").alias("h"), F.xxhash64(F.reverse("text")).alias("r")).alias("row_key"), base_spans(F.col("text")).alias("base"), spans_of(F.col("text"), MENTION).alias("words"), "text")
+    own = docs.select("doc_id", text.alias("text")).withColumn("digit", has_digit(F.col("text")))
+    key = F.struct(F.xxhash64("text").alias("h"), F.xxhash64(F.lit(1), "text").alias("r")).alias("row_key")
+    base, words = base_spans(F.col("text"), F.col("digit")).alias("base"), spans_of(F.col("text"), MENTION, F.col("digit") | F.contains("text", F.lit("@"))).alias("words")
+    own = own.select("doc_id", key, base, words, "text")
 
     def mention(w):
         before = F.substring(F.col("text"), F.greatest(w["start"] - CONTEXT + 1, F.lit(1)), F.least(w["start"], F.lit(CONTEXT)))
@@ -198,7 +202,8 @@ def redact(docs: DataFrame) -> DataFrame:
     found = found_spans(prepare(docs))
     few = found.limit(BROADCAST_SPANS + 1).count() <= BROADCAST_SPANS
     side = found.select(F.col("doc_id").alias("_id"), F.col("row_key").alias("_key"), F.col("found").alias("_found"))
-    own = docs.withColumn("_row", F.struct(F.xxhash64("text").alias("h"), F.xxhash64(F.reverse("text")).alias("r")))
+    text = F.coalesce("text", F.lit(""))
+    own = docs.withColumn("_row", F.struct(F.xxhash64(text).alias("h"), F.xxhash64(F.lit(1), text).alias("r"))).withColumn("_digit", F.coalesce(has_digit(F.col("text")), F.lit(False)))
     joined = own.join(F.broadcast(side) if few else side, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_row") == F.col("_key")), "left")
-    spans = F.concat(base_spans(F.col("text")), F.coalesce("_found", F.array().cast("array<struct<order:int,start:int,end:int>>")))
+    spans = F.concat(base_spans(F.col("text"), F.col("_digit")), F.coalesce("_found", F.array().cast("array<struct<order:int,start:int,end:int>>")))
     return joined.withColumn("_spans", spans).withColumn("text", F.when(F.col("text").isNotNull(), masked(F.col("text"), F.col("_spans")))).select(*docs.columns)
