@@ -123,7 +123,8 @@ def repeated_passages(docs: DataFrame, length: int = 50, gram: int = 20) -> Data
     rows = anchored.where(F.size("at") > 0).select("digest", F.explode(F.arrays_zip("at", "gram")).alias("x")).select("digest", F.col("x.at").alias("at"), F.col("x.gram").alias("gram"))
     # A gram is repeated if it has two places; copies of a text count as one place.
     place = F.xxhash64("digest", "at")
-    grams = rows.groupBy("gram").agg(F.min(place).alias("a"), F.max(place).alias("b")).where("a <> b").select("gram")
+    grams = materialise(rows.groupBy("gram").agg(F.min(place).alias("a"), F.max(place).alias("b")).where("a <> b").select("gram"), "grams")
+    # Both sides of the join are exchanges, so that a gram with many places is split over tasks.
     kept = rows.join(grams, "gram", "left_semi").groupBy("digest").agg(F.array_distinct(F.collect_list("at")).alias("at"))
     kept = materialise(kept.join(texts.select("digest", "first_doc"), "digest"), "kept-anchors")
     release(spark)
@@ -137,7 +138,7 @@ def repeated_passages(docs: DataFrame, length: int = 50, gram: int = 20) -> Data
     release(spark)
     found = windows.join(repeated, "hash").groupBy("digest").agg(F.array_sort(F.collect_list(F.struct("start", "least"))).alias("hits"))
     spans = materialise(_merged(found, length), "spans")
-    for done in (windows, repeated, kept):
+    for done in (windows, repeated, kept, grams):
         discard(done)
     release(spark)
     known = texts.join(spans, "digest", "left").where("copies > 1 or spans is not null")
