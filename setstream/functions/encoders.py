@@ -27,9 +27,13 @@ def words_sql(text: str) -> str:
 
 def shingles(text: Column, width: int = 3) -> Column:
     """Runs of ``width`` words; a shorter text has none."""
-    w = words(text)
-    n = F.size(w) - (width - 1)
-    return F.when(n > 0, F.transform(F.sequence(F.lit(1), n), lambda i: F.array_join(F.slice(w, i, F.lit(width)), " "))).otherwise(F.array().cast("array<string>"))
+
+    def runs(w: Column) -> Column:
+        n = F.size(w) - (width - 1)
+        return F.when(n > 0, F.transform(F.sequence(F.lit(1), n), lambda i: F.array_join(F.slice(w, i, F.lit(width)), " "))).otherwise(F.array().cast("array<string>"))
+
+    # The words are bound once as a variable of the outer lambda; named inside the inner one they would be split again for every run.
+    return F.flatten(F.transform(F.array(words(text)), runs))
 
 
 def links(html: Column) -> Column:
