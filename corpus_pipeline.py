@@ -18,8 +18,7 @@ TOXIC = 0.5
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the noisy-or model scores below ``TOXIC``; it is fitted on the labelled documents among them."""
     model = mil_toxicity.fit(docs, table(spark, sf_dir, "labels"))
-    scored = mil_toxicity.score(docs, model, TOXIC, keep=docs.columns)
-    return scored.where(F.col("score") < TOXIC).select(*docs.columns)
+    return mil_toxicity.drop_toxic(docs, model, TOXIC)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import materialise
+from .runtime import materialise, restored, sheltered
 
 KINDS = ("email", "ip", "card", "phone")
 # What each kind's base pattern matches, leftmost and without overlap.
@@ -203,7 +203,9 @@ def redact(docs: DataFrame) -> DataFrame:
     few = found.limit(BROADCAST_SPANS + 1).count() <= BROADCAST_SPANS
     side = found.select(F.col("doc_id").alias("_id"), F.col("row_key").alias("_key"), F.col("found").alias("_found"))
     text = F.coalesce("text", F.lit(""))
-    own = docs.withColumn("_row", F.struct(F.xxhash64(text).alias("h"), F.xxhash64(F.lit(1), text).alias("r"))).withColumn("_digit", F.coalesce(has_digit(F.col("text")), F.lit(False)))
+    own = sheltered(docs, "doc_id", "text").withColumn("_row", F.struct(F.xxhash64(text).alias("h"), F.xxhash64(F.lit(1), text).alias("r")))
+    own = own.withColumn("_digit", F.coalesce(has_digit(F.col("text")), F.lit(False)))
     joined = own.join(F.broadcast(side) if few else side, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_row") == F.col("_key")), "left")
     spans = F.concat(base_spans(F.col("text"), F.col("_digit")), F.coalesce("_found", F.array().cast("array<struct<order:int,start:int,end:int>>")))
-    return joined.withColumn("_spans", spans).withColumn("text", F.when(F.col("text").isNotNull(), masked(F.col("text"), F.col("_spans")))).select(*docs.columns)
+    masking = F.when(F.col("text").isNotNull(), masked(F.col("text"), F.col("_spans")))
+    return restored(joined.withColumn("_spans", spans).withColumn("text", masking), docs, "doc_id", "text")

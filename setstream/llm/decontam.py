@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .runtime import materialise
+from .runtime import materialise, restored, sheltered
 from .text import ALNUM, LOWER, Words, chunks, raw
 
 #: Benchmark text that is broadcast at once.
@@ -216,6 +216,5 @@ def hit_words(spans):
 
 def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10) -> DataFrame:
     """The documents that hold no window of any item, with their own columns."""
-    columns = docs.columns
-    found = overlaps(docs.select("doc_id", F.col("text"), *[c for c in columns if c not in ("doc_id", "text")]), items, width, keep_text=True)
-    return found.where(F.size("item_ids") == 0).select(*columns)
+    found = overlaps(sheltered(docs, "text"), items, width, keep_text=True)
+    return restored(found.where(F.size("item_ids") == 0), docs, "text")

@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .learning import is_held_out, training_sample
+from .runtime import restored, sheltered
 from .text import ALNUM, LOWER, Prefix, Words, chunks, mix, raw
 
 BUCKETS = 1 << 19
@@ -175,6 +176,13 @@ def fit(docs: DataFrame, labels: DataFrame) -> NoisyOrModel:
     return NoisyOrModel.fit(*training_sample(docs, labels, "toxic"))
 
 
+def drop_toxic(docs: DataFrame, model: NoisyOrModel, threshold: float = 0.5) -> DataFrame:
+    """The documents that score below ``threshold``, with their own columns."""
+    own = sheltered(docs, "text")
+    scored = score(own, model, threshold, keep=own.columns)
+    return restored(scored.where(F.col("score") < threshold), docs, "text")
+
+
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.5) -> DataFrame:
     """Fit on the labelled sample, score every document."""
     scored = score(docs, fit(docs, labels))

@@ -64,5 +64,15 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 
 
+def sheltered(docs: DataFrame, *roles: str) -> DataFrame:
+    """``docs`` with all columns but ``roles`` renamed out of the way of an operator's own names; see ``restored``."""
+    return docs.toDF(*[c if c in roles else f"_kept{i}" for i, c in enumerate(docs.columns)])
+
+
+def restored(found: DataFrame, docs: DataFrame, *roles: str) -> DataFrame:
+    """The columns of ``docs``, with their names, out of what an operator made of its sheltered form."""
+    return found.select(*sheltered(docs, *roles).columns).toDF(*docs.columns)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

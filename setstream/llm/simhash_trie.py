@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .runtime import discard, materialise, partitions
+from .runtime import discard, materialise, partitions, restored, sheltered
 from .text import LOWER, NOT_BLANK, Words, chunks, raw
 
 #: Frontier pairs that are walked at once.
@@ -280,7 +280,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, radius: int = 4, id_col:
 def keep_one(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataFrame:
     """One row of each group of near-duplicates, with all its columns: that of the smallest doc_id (null last; of equal ids one)."""
     text = F.coalesce("text", F.lit(""))
-    keyed = docs.withColumn("_a", F.xxhash64("doc_id", text)).withColumn("_b", F.xxhash64(text, "doc_id", F.lit(1)))
+    keyed = sheltered(docs, "doc_id", "text").withColumn("_a", F.xxhash64("doc_id", text)).withColumn("_b", F.xxhash64(text, "doc_id", F.lit(1)))
     own = materialise(fingerprints(keyed, shingle, ("doc_id", "_a", "_b")), "fingerprints")
     labelled = _rooted(own, radius, "doc_id").select("fp", "root")
     order = F.struct(F.isnull("doc_id").alias("no_id"), "doc_id", "_a", "_b")
@@ -288,4 +288,4 @@ def keep_one(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataFrame:
     # Identical rows have one key; the join leaves them side by side.
     first = Window.partitionBy("_a", "_b").orderBy("_a", "_b")
     kept = keyed.join(winners, ["_a", "_b"], "left_semi").withColumn("_n", F.row_number().over(first)).where("_n = 1")
-    return kept.select(*docs.columns)
+    return restored(kept, docs, "doc_id", "text")
