@@ -1,10 +1,10 @@
 """Main text of web pages, by the template that the pages of a host share.
 
-Tokens are tags told apart by their path and whole text runs told apart by path and words. For every host, tokens with
+Tokens are tags told apart by their path and blocks of text told apart by path and words. For every host, tokens with
 the same occurrence vector over its pages form a class; vectors are compared by fingerprints that add up over partitions,
 so no page is ever brought to another. A class is large and frequent if it has two tokens at least on enough pages, and
 valid if it nests: the paths of its tags are each other's ancestors, siblings or descendants within the host's root class.
-The valid classes' tags are the template, its text runs are template text, and what stands in between are slots. The slot that
+The valid classes' tags are the template, its blocks are template text, and what stands in between are slots. The slot that
 holds the host's article is the template's container with the article's mass of varying, mostly unlinked text.
 
 Extraction reads each page once more: text inside the container, without the parts that markup marks as menus,
@@ -148,14 +148,19 @@ class Page:
             kept = drop == 0 and (kept or (article and not inside))
             stack.append((tag, path, kept, inside or article))
 
-    def blocks(self, wanted) -> str:
-        """Text of the wanted runs: white space as one space, blocks joined by line feeds, references decoded."""
-        out: dict[int, list[str]] = defaultdict(list)
-        for run in self.runs:
-            if wanted(run):
-                out[run[4]].append(run[3])
-        lines = (_SPACE.sub(" ", _html.unescape("".join(parts))).strip() for parts in out.values())
-        return "\n".join(x for x in lines if x)
+    def blocks(self) -> list[tuple[str, bool, int, int, str]]:
+        """(path, kept, characters, of them linked, text) of every block with text, in page order: white space as one space, references decoded."""
+        out: dict[int, list] = {}
+        for path, kept, linked, text, block in self.runs:
+            at = out.setdefault(block, [path, kept, 0, []])
+            at[2] += len(text) * linked
+            at[3].append(text)
+        made = []
+        for path, kept, linked, parts in out.values():
+            text = _SPACE.sub(" ", _html.unescape("".join(parts))).strip()
+            if text:
+                made.append((path, kept, len(text), min(linked, len(text)), text))
+        return made
 
 
 def _depth(path: str) -> int:
@@ -184,14 +189,12 @@ def _tokens(pages: DataFrame) -> DataFrame:
                 seen: dict[tuple, list[int]] = {(host, "page", "", 0): [1, 0, 0]}
                 for path, n in page.opened.items():
                     seen[(host, "tag", path, 0)] = [n, 0, 0]
-                for path, kept, linked, text, _ in page.runs:
-                    text = _SPACE.sub(" ", text).strip()
-                    if text:
-                        key = (host, "text" if kept else "side", path, digest(text) - half if kept else 0)
-                        at = seen.setdefault(key, [0, 0, 0])
-                        at[0] += 1
-                        at[1] += len(text)
-                        at[2] += len(text) * linked
+                for path, kept, chars, linked, text in page.blocks():
+                    key = (host, "text" if kept else "side", path, digest(text) - half if kept else 0)
+                    at = seen.setdefault(key, [0, 0, 0])
+                    at[0] += 1
+                    at[1] += chars
+                    at[2] += linked
                 for key, (n, chars, linked) in seen.items():
                     at = sums.setdefault(key, [0, 0, 0, 0])
                     at[0] += 1
@@ -209,7 +212,7 @@ ARROW = pa.schema([(n, pa.string() if n in ("host", "kind", "path") else pa.int6
 
 
 def templates(pages: DataFrame) -> DataFrame:
-    """(host, pages, container, constant, tags): one row for each host with a template: its article container, the text runs that belong to
+    """(host, pages, container, constant, tags): one row for each host with a template: its article container, the blocks of text that belong to
     the template, and the template's tags by path."""
     tokens = _tokens(pages).groupBy("host", "kind", "path", "token")
     # Partial vectors carry an offset each; an even number of them cancels it, an odd number leaves it, alike for all partitions' sums.
@@ -249,25 +252,15 @@ def main_text(source: str | None, container: str | None, constant: set[int]) ->
     if not source:
         return ""
     page = Page(source)
-    paths = {run[0] for run in page.runs}
-    if container and any(p == container or p.startswith(container + "/") for p in paths):
+    blocks = page.blocks()
+    if container and any(b[0] == container or b[0].startswith(container + "/") for b in blocks):
         outer = container
     else:
         opened = sorted((p for p in page.opened if re.search(r"/(?:article|main)(?:\.[^/]*)?$", p)), key=_depth)
         outer = opened[0] if opened else ""
-
-    in_article = bool(re.search(r"/(?:article|main)\b", outer))
-
-    def wanted(run) -> bool:
-        path, kept, _, text, _ = run
-        if not kept or not (path == outer or path.startswith(outer + "/")):
-            return False
-        if in_article or not constant:
-            return True
-        text = _SPACE.sub(" ", text).strip()
-        return not text or xxhash.xxh64_intdigest(text) - (1 << 63) not in constant
-
-    return page.blocks(wanted)
+    template = set() if re.search(r"/(?:article|main)\b", outer) else constant
+    inside = (b for b in blocks if b[1] and (b[0] == outer or b[0].startswith(outer + "/")))
+    return "\n".join(b[4] for b in inside if not template or xxhash.xxh64_intdigest(b[4]) - (1 << 63) not in template)
 
 
 def extract(pages: DataFrame) -> DataFrame:

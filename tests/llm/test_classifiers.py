@@ -3,7 +3,7 @@
 import zlib
 
 import pytest
-from conftest import SMALL
+from checks import SMALL
 
 from setstream.llm import learning, mil_toxicity, queries, subword_quality
 

@@ -8,8 +8,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow.parquet as pq
 import pytest
-from checks import same_rows
-from conftest import SMALL
+from checks import SMALL, same_rows
 from pyspark.sql import functions as F
 
 from setstream.llm import bpe, contextual_pii, decontam, oracles, queries, simhash_trie, suffix_dedup, template_html

@@ -5,7 +5,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
-from conftest import SMALL
+from checks import SMALL
 
 from setstream.llm import multi_index_hash, queries, shard_packing
 
