@@ -19,6 +19,7 @@ from ..operators.replay import fault_log, replay
 from ..schemas import INFINITE
 from ..sources import collections as col
 from ..streaming.live import window_signatures
+from . import relational
 from . import workloads as W
 
 K, RESERVE = 4, 4
@@ -569,6 +570,7 @@ def pairs_by_label(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 W.register(query)
+relational.register(query)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

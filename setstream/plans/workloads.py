@@ -100,7 +100,7 @@ def neighbourhood_members(spark: SparkSession, sf_dir: str, name: str) -> DataFr
     return col.COLLECTIONS[name](spark, sf_dir)
 
 
-def pair_quality(spark: SparkSession, sf_dir: str, name: str, lam: float, budget: int = 256, bins: int = 64) -> DataFrame:
+def pair_quality(spark: SparkSession, sf_dir: str, name: str, lam: float, budget: int = 128, bins: int = 64) -> DataFrame:
     """Quality of candidate pairs from reserve signatures and from bins of the same memory, at the same banding."""
     members = neighbourhood_members(spark, sf_dir, name).persist()
     truth = S.exact_pairs(members, lam).persist()
