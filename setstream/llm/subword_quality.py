@@ -1,6 +1,6 @@
 """Quality scores from supervised subword embeddings.
 
-Words and character n-grams (over UTF-8 bytes) are hashed to rows of an embedding table; a document is the average of
+Words, word pairs and character n-grams (over UTF-8 bytes) are hashed to rows of an embedding table; a document is the average of
 its rows, a softmax layer reads the average, and both are trained together by stochastic gradient descent in numpy.
 For scoring, the table and the layer's two outputs collapse to one number for each bucket (the layer is linear), so a text
 costs one look-up for each feature and the averages come from prefix sums over whole Arrow batches.
@@ -29,13 +29,17 @@ DIMENSIONS = 8
 
 
 def features(data: np.ndarray, offsets: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
-    """(bucket, first byte) of every word and n-gram of a run of texts, by kind; n-grams don't pass a text's end."""
+    """(bucket, first byte) of every word, word pair and n-gram of a run of texts, by kind; n-grams don't pass a text's end."""
     prefix = Prefix(data)
     mask = np.uint64(BUCKETS - 1)
     out = []
     for salt, kind in ((0x57, NOT_BLANK), (0x41, ALNUM)):
         words = Words(data, offsets, kind)
-        out.append(((mix(prefix.span(words.start, words.end) ^ np.uint64(salt)) & mask).astype(np.int64), words.start))
+        h = prefix.span(words.start, words.end)
+        out.append(((mix(h ^ np.uint64(salt)) & mask).astype(np.int64), words.start))
+        # Word pairs, hashed by the difference of their words: a word said twice is one feature, whichever word it is.
+        pair = np.flatnonzero(words.doc[1:] == words.doc[:-1])
+        out.append(((mix((h[pair] ^ h[pair + 1]) + np.uint64(salt << 8)) & mask).astype(np.int64), words.start[pair]))
     end_of = np.repeat(offsets[1:], np.diff(offsets))
     for n in GRAMS:
         h = prefix.grams(n)
