@@ -35,6 +35,8 @@ LEAST_Z = 4.0
 #: Bytes of text whose features are held at once while fitting.
 FIT_BYTES = 1 << 19
 START_BIAS = -7.0
+#: Words that make a sentence of its own.
+LEAST_WORDS = 3
 
 _ENDS = np.zeros(256, bool)
 _ENDS[[0x0A, 0x21, 0x2E, 0x3F]] = True  # line feed ! . ?
@@ -48,7 +50,12 @@ class Sentences:
         words = Words(LOWER[data], offsets, ALNUM)
         passed = np.concatenate([[0], np.cumsum(_ENDS[data])])[words.start]
         new = np.ones(len(words), bool)
-        new[1:] = (passed[1:] != passed[:-1]) | (words.doc[1:] != words.doc[:-1])
+        other = words.doc[1:] != words.doc[:-1]
+        new[1:] = (passed[1:] != passed[:-1]) | other
+        # A fragment of a word or two goes with what follows, else a text of shouted words is a bag of hundreds of sentences.
+        breaks = np.flatnonzero(new)
+        short = np.diff(breaks) < LEAST_WORDS
+        new[breaks[1:][short & ~other[breaks[1:] - 1]]] = False
         of_word = np.cumsum(new) - 1
         first = np.flatnonzero(new)
         self.doc = words.doc[first]

@@ -53,6 +53,12 @@ def discard(df: DataFrame) -> None:
         hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
+def clean(spark: SparkSession) -> None:
+    """Delete everything that operators have written to the shared folder; to be called when no result of theirs will be read."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/setstream")
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark drop the shuffle files of queries whose results are written: it does so when their plans are collected."""
     gc.collect()
