@@ -6,8 +6,11 @@ above the limit; a slot is empty exactly if the set is. The signature, the least
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from math import ceil, log2
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -25,6 +28,112 @@ def _slot(pairs: Column, lim: Column) -> Column:
     return F.struct(pairs.alias("pairs"), lim.alias("lim"))
 
 
+#: Slots up to which sketches are built and updated by column expressions; above, by numpy kernels over Arrow batches.
+COLUMN_SLOTS = 64
+INF = np.int64(INFINITE)
+
+
+def _flat(slots: Column, reserve: int) -> Column:
+    """All pairs of all slots in one array, each slot padded to the reserve with the infinite pair."""
+    pad = F.lit(INFINITE).cast("bigint")
+    return F.flatten(F.transform(slots, lambda s: F.concat(s["pairs"], F.array_repeat(pad, F.lit(reserve) - F.size(s["pairs"])))))
+
+
+def _unflat(flat: Column, lims: Column, k: int, reserve: int) -> Column:
+    def one(i: Column) -> Column:
+        pairs = F.filter(F.slice(flat, i * reserve + 1, F.lit(reserve)), lambda p: p < INFINITE)
+        return _slot(pairs, F.element_at(lims, i + 1))
+
+    return F.transform(F.sequence(F.lit(0), F.lit(k - 1)), one)
+
+
+def _kernel_init(members: DataFrame, family: HashFamily, reserve: int) -> DataFrame:
+    """Least pairs of each batch's part of a set, then one merge of the parts: the reserve's least pairs of a union are among its
+    parts' least. A giant set is spread over all its input tasks."""
+    k = family.k
+    step = max(1, (1 << 21) // k)
+
+    def rows_of(ids: np.ndarray, least: list[np.ndarray]) -> pa.RecordBatch:
+        offsets = pa.array(np.arange(len(ids) + 1, dtype=np.int32) * (k * reserve))
+        return pa.RecordBatch.from_arrays([pa.array(ids), pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([x.ravel() for x in least])))], names=["set_id", "flat"])
+
+    def cut(pairs: np.ndarray) -> np.ndarray:
+        """(k, reserve) least of (k, n) pairs, ascending and padded; equal pairs once."""
+        pairs = np.sort(pairs, axis=1)
+        again = np.zeros(pairs.shape, bool)
+        again[:, 1:] = (pairs[:, 1:] == pairs[:, :-1]) & (pairs[:, 1:] < INF)
+        if again.any():
+            pairs = np.sort(np.where(again, INF, pairs), axis=1)
+        out = np.full((k, reserve), INF)
+        n = min(reserve, pairs.shape[1])
+        out[:, :n] = pairs[:, :n]
+        return out
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids, x = (batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (0, 1))
+            order = np.argsort(ids, kind="stable")
+            for a in range(0, len(ids), step):
+                part = order[a : a + step]
+                own, pairs = ids[part], family.pairs_numpy(x[part])
+                edge = np.flatnonzero(np.r_[True, own[1:] != own[:-1], True])
+                yield rows_of(own[edge[:-1]], [cut(pairs[i:j].T) for i, j in zip(edge, edge[1:], strict=False)])
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held_id, held = None, None
+        for batch in batches:
+            for i in range(batch.num_rows):
+                own = batch.column(0)[i].as_py()
+                pairs = batch.column(1)[i].values.to_numpy(zero_copy_only=False).reshape(k, reserve)
+                if own == held_id:
+                    held = cut(np.concatenate([held, pairs], axis=1))
+                    continue
+                if held_id is not None:
+                    yield rows_of(np.array([held_id]), [held])
+                held_id, held = own, pairs
+        if held_id is not None:
+            yield rows_of(np.array([held_id]), [held])
+
+    schema = "set_id bigint, flat array<bigint>"
+    parts = members.select("set_id", "element").mapInArrow(partial, schema)
+    merged = parts.repartition("set_id").sortWithinPartitions("set_id").mapInArrow(merge, schema)
+    lims = F.transform(F.sequence(F.lit(1), F.lit(k)), lambda i: F.element_at("flat", i * reserve))
+    return merged.select("set_id", _unflat(F.col("flat"), lims, k, reserve).alias("slots"))
+
+
+def _kernel_apply(joined: DataFrame, family: HashFamily, reserve: int) -> DataFrame:
+    """The batch update of ``reserve_apply`` for rows (set_id, seq, slots, put, out, n_out), all slots of a set at once."""
+    k = family.k
+    flat = F.when(F.col("slots").isNotNull(), _flat(F.col("slots"), reserve)).alias("flat")
+    asked = joined.select("set_id", "seq", "n_out", flat, F.transform("slots", lambda s: s["lim"]).alias("lims"), "put", "out")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            pairs, limits = [], []
+            for i in range(batch.num_rows):
+                flat, lims, put, out = (batch.column(c)[i] for c in (3, 4, 5, 6))
+                held = flat.values.to_numpy(zero_copy_only=False).reshape(k, reserve).copy() if flat.is_valid else np.full((k, reserve), INF)
+                lim = lims.values.to_numpy(zero_copy_only=False).copy() if lims.is_valid else np.full(k, INF)
+                gone = family.pairs_numpy(out.values.to_numpy(zero_copy_only=False)) if len(out) else np.zeros((0, k), np.int64)
+                come = family.pairs_numpy(put.values.to_numpy(zero_copy_only=False)).T if len(put) else np.zeros((k, 0), np.int64)
+                for p in gone:
+                    held[held == p[:, None]] = INF
+                come = np.where(come <= lim[:, None], come, INF)
+                both = np.sort(np.concatenate([held, come], axis=1), axis=1)
+                both[:, 1:][both[:, 1:] == both[:, :-1]] = INF
+                both = np.sort(both, axis=1)[:, :reserve]
+                if batch.column(1)[i].is_valid:
+                    lim = np.where(both[:, -1] < INF, both[:, -1], lim)
+                pairs.append(both.ravel())
+                limits.append(lim)
+            if pairs:
+                lists = [pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * len(x[0])), pa.array(np.concatenate(x))) for x in (pairs, limits)]
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), *lists], names=["set_id", "seq", "n_out", "flat", "lims"])
+
+    done = asked.mapInArrow(run, "set_id bigint, seq bigint, n_out int, flat array<bigint>, lims array<bigint>")
+    return done.select("set_id", "seq", _unflat(F.col("flat"), F.col("lims"), k, reserve).alias("slots"), "n_out")
+
+
 def reserve_long(members: DataFrame, family: HashFamily, reserve: int) -> DataFrame:
     """(set_id, slot, pair) of every slot's least pairs: slots exploded, ranked, cut before the shuffle and after."""
     every = members.select("set_id", F.posexplode(family.pairs(F.col("element"))).alias("slot", "pair"))
@@ -46,6 +155,8 @@ def reserve_init(members: DataFrame, family: HashFamily, reserve: int, sampled:
     sets that fall short of a slot's pairs are built again in full, so the result is the same. ``keep_elements=False`` gives the
     hash-only form for legal streams.
     """
+    if family.k > COLUMN_SLOTS and keep_elements:
+        return _kernel_init(members, family, reserve)
     if sampled:
         n = members.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
         every = members.join(n, "set_id").select("set_id", "n", F.posexplode(family.pairs(F.col("element"))).alias("slot", "pair"))
@@ -126,7 +237,10 @@ def reserve_apply(sketch: DataFrame, updates: DataFrame, members_after: DataFram
         both = F.slice(F.array_sort(F.array_union(F.array_except(s["pairs"], gone), come)), 1, reserve)
         return _slot(both, F.when(F.size(both) >= reserve, F.element_at(both, -1)).otherwise(s["lim"]))
 
-    after = joined.select("set_id", "seq", F.when(F.col("seq").isNull(), F.col("slots")).otherwise(F.array(*[updated(i) for i in range(family.k)])).alias("slots"), F.size(out).alias("n_out"))
+    if family.k > COLUMN_SLOTS:
+        after = _kernel_apply(joined.select("set_id", "seq", "slots", put.alias("put"), out.alias("out"), F.size(out).alias("n_out")), family, reserve)
+    else:
+        after = joined.select("set_id", "seq", F.when(F.col("seq").isNull(), F.col("slots")).otherwise(F.array(*[updated(i) for i in range(family.k)])).alias("slots"), F.size(out).alias("n_out"))
     # A slot is judged only in sets that the batch touched.
     bare = F.exists("slots", lambda s: (F.size(s["pairs"]) == 0) & (s["lim"] < INFINITE))
     if recover_when_empty:

@@ -27,8 +27,10 @@ def legalize(updates: DataFrame) -> DataFrame:
 
 def net(updates: DataFrame) -> DataFrame:
     """The last update of each (set, element): what a batch amounts to. One aggregation with partial sums."""
-    last = F.max_by(F.struct("seq", "op"), F.struct("seq", "op")).alias("l")
-    return updates.groupBy(*_PAIR).agg(last).select(F.col("l.seq").alias("seq"), *_PAIR, F.col("l.op").alias("op"))
+    # Number and direction packed into one BIGINT: its maximum is a hash aggregate, a struct's would sort.
+    last = F.max(F.col("seq") * 2 + F.when(F.col("op") == 1, 1).otherwise(0)).alias("l")
+    found = updates.groupBy(*_PAIR).agg(last)
+    return found.select(F.shiftright("l", 1).alias("seq"), *_PAIR, F.when(F.col("l").bitwiseAND(1) == 1, 1).otherwise(-1).alias("op"))
 
 
 def members_at(updates: DataFrame, seq: int | None = None) -> DataFrame:

@@ -58,8 +58,9 @@ def test_permutation_family_is_a_permutation(spark):
 
 
 @pytest.mark.parametrize("rebuild", ["all", "slot"])
-@pytest.mark.parametrize("seed", [1, 2, 3])
-def test_netted_batches_keep_signatures_and_invariants(spark, seed, rebuild):
+@pytest.mark.parametrize(("seed", "column_slots"), [(1, 64), (2, 64), (3, 64), (4, 1), (5, 1)])
+def test_netted_batches_keep_signatures_and_invariants(spark, monkeypatch, seed, column_slots, rebuild):
+    monkeypatch.setattr(R, "COLUMN_SLOTS", column_slots)  # 1: the numpy kernels
     rows = random_updates(300, seed=seed)
     sketch = R.reserve_init(members(spark, walk(rows[:100])), FAMILY, 2)
     for a, b in ((100, 180), (180, 300)):
@@ -108,6 +109,17 @@ def test_kernel_signatures_equal_columns(spark):
     assert {r["set_id"]: list(r["sig"]) for r in S.signatures(m, family).collect()} == truth({s: {s * 7 + i for i in range(30)} for s in range(5)}, family)
 
 
+def test_kernels_build_and_update_the_same_sketch(spark, monkeypatch):
+    rows = random_updates(300, seed=12)
+    made = []
+    for slots in (64, 1):
+        monkeypatch.setattr(R, "COLUMN_SLOTS", slots)
+        sketch = R.reserve_init(members(spark, walk(rows[:150])), FAMILY, 3)
+        after, faults = R.reserve_apply(sketch, frame(spark, rows[150:]), members(spark, walk(rows)), FAMILY, 3)
+        made.append([sorted(map(str, df.collect())) for df in (sketch, after, faults)])
+    assert made[0] == made[1]
+
+
 def test_legality_and_netting(spark):
     df = frame(spark, [(1, 1, 7, 1), (2, 1, 7, 1), (3, 1, 7, -1), (4, 1, 7, -1), (5, 1, 7, 1), (6, 1, 8, -1), (7, 1, 8, 1)])
     assert [r["legal"] for r in streams.flag_legal(df).orderBy("seq").collect()] == [True, False, True, False, True, False, True]
