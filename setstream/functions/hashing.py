@@ -88,25 +88,40 @@ class HashFamily:
     def hash_numpy(self, x: np.ndarray) -> np.ndarray:
         """(len(x), k) hashes."""
         x = np.asarray(x, np.int64)
-        out = np.empty((len(x), self.k), np.int64)
-        for i, c in enumerate(self.coefficients):
-            if self.kind == "affine":
-                out[:, i] = (c[0] * x + c[1]) % PRIME
-            elif self.kind == "polynomial":
-                y, acc = x % PRIME, np.full(len(x), c[0], np.int64)
-                for ci in c[1:]:
-                    acc = (acc * y + ci) % PRIME
-                out[:, i] = acc
-            elif self.kind == "tabulation":
-                acc = np.zeros(len(x), np.int64)
-                table = np.array(c, np.int64)
-                for j in range(8):
-                    acc ^= table[16 * j + (x >> (4 * j) & 15)]
-                out[:, i] = acc
-            else:
-                out[:, i] = (_xx_int(c[0], _xx_long(x.view(np.uint64), np.uint64(42))) & np.uint64(MASK31)).astype(np.int64)
+        if self.kind == "tabulation":
+            return self.hash_int32(x).astype(np.int64)
+        if self.kind == "native":
+            inner = _xx_long(x.view(np.uint64), np.uint64(42))
+            return np.column_stack([(_xx_int(c[0], inner) & np.uint64(MASK31)).astype(np.int64) for c in self.coefficients])
+        c = np.array(self.coefficients, np.int64)
+        if self.kind == "affine":
+            return (x[:, None] * c[:, 0] + c[:, 1]) % PRIME
+        y, out = (x % PRIME)[:, None], np.broadcast_to(c[:, 0], (len(x), self.k))
+        for i in range(1, c.shape[1]):
+            out = (out * y + c[:, i]) % PRIME
+        return out
+
+    def hash_int32(self, x: np.ndarray) -> np.ndarray:
+        """(len(x), k) hashes in half the space."""
+        if self.kind != "tabulation":
+            return self.hash_numpy(x).astype(np.int32)
+        x, tables = np.asarray(x, np.int64), self._byte_tables()
+        out = tables[0][x & 255]
+        for j in (1, 2, 3):
+            out ^= tables[j][x >> (8 * j) & 255]
         return out
 
+    def _byte_tables(self) -> np.ndarray:
+        """(4, 256, k): the nibble tables of two neighbouring nibbles combined, so that an element takes four look-ups."""
+        if not hasattr(self, "_tables"):
+            nibble = np.array(self.coefficients, np.int32).reshape(self.k, 8, 16)
+            byte = np.arange(256)
+            self._tables = np.stack([(nibble[:, 2 * j, byte & 15] ^ nibble[:, 2 * j + 1, byte >> 4]).T.copy() for j in range(4)])
+        return self._tables
+
+    def __getstate__(self) -> dict:
+        return {k: v for k, v in self.__dict__.items() if k != "_tables"}
+
     def pairs_numpy(self, x: np.ndarray) -> np.ndarray:
         x = np.asarray(x, np.int64)
         return self.hash_numpy(x) << 32 | x[:, None]

@@ -64,30 +64,64 @@ class Reserve(Sketch):
         self.reserve, self.recover_when_empty, self.rebuild = reserve, recover_when_empty, rebuild
         self.buffer = np.full((family.k, reserve), INF)
         self.lim = np.full(family.k, INF)
+        self.high = (self.lim >> 32).astype(np.int32)  # the limits' hashes
+        self.by_hash = type(self) is Reserve and isinstance(family, HashFamily)
+
+    def run(self, seq: np.ndarray, element: np.ndarray, op: np.ndarray) -> None:
+        """As for every sketch, but pairs are made for those slots alone whose limit the hash doesn't pass."""
+        if not self.by_hash:
+            return super().run(seq, element, op)
+        step = max(1, (1 << 21) // self.family.k)
+        for a in range(0, len(seq), step):
+            hashes = self.family.hash_int32(element[a : a + step])
+            for i, h in enumerate(hashes):
+                x = int(element[a + i])
+                due = np.flatnonzero(h <= self.high)
+                own = h[due].astype(np.int64) << 32 | x
+                below = own <= self.lim[due]
+                due, own = due[below], own[below]
+                if op[a + i] > 0:
+                    self.held.add(x)
+                    if len(due):
+                        self.put(due, own)
+                else:
+                    self.held.discard(x)
+                    slot = self.drop(due, own) if len(due) else None
+                    if slot is not None:
+                        self.log.append((int(seq[a + i]), slot, len(self.held)))
+                        self.recover()
 
     def insert(self, p: np.ndarray, x: int) -> None:
         due = np.flatnonzero(p <= self.lim)
-        if not len(due):
-            return
-        rows = self.buffer[due]
-        new = ~(rows == p[due, None]).any(1)
-        due, rows = due[new], rows[new]
-        wide = np.sort(np.column_stack([rows, p[due]]), axis=1)[:, : self.reserve]
-        self.buffer[due] = wide
-        full = wide[:, -1] < INF
-        self.lim[due[full]] = wide[full, -1]
+        if len(due):
+            self.put(due, p[due])
 
     def delete(self, p: np.ndarray, x: int) -> int | None:
-        hit = self.buffer == p[:, None]
-        due = np.flatnonzero(hit.any(1))
-        if len(due):
-            rows = np.where(hit[due], INF, self.buffer[due])
-            rows.sort(axis=1)
-            self.buffer[due] = rows
-        bare = self.buffer[:, 0] == INF
+        due = np.flatnonzero(p <= self.lim)  # above its limit a pair isn't held
+        return self.drop(due, p[due]) if len(due) else None
+
+    def put(self, due: np.ndarray, own: np.ndarray) -> None:
+        wide = np.empty((len(due), self.reserve + 1), np.int64)
+        wide[:, :-1] = self.buffer[due]
+        # A pair that is held already enters as infinite, that is not at all.
+        wide[:, -1] = np.where((wide[:, :-1] == own[:, None]).any(1), INF, own)
+        wide.sort(axis=1)
+        self.buffer[due] = wide[:, :-1]
+        last = wide[:, -2]
+        self.lim[due] = lim = np.where(last < INF, last, self.lim[due])
+        self.high[due] = lim >> 32
+
+    def drop(self, due: np.ndarray, own: np.ndarray) -> int | None:
+        rows = self.buffer[due]
+        hit = rows == own[:, None]
+        some = hit.any(1)
+        rows[hit] = INF
+        rows[some] = np.sort(rows[some], axis=1)
+        self.buffer[due[some]] = rows[some]
+        bare = rows[:, 0] == INF
         if not self.recover_when_empty:
-            bare &= self.lim < INF
-        return int(bare.argmax()) if bare.any() else None
+            bare &= self.lim[due] < INF
+        return int(due[bare.argmax()]) if bare.any() else None
 
     def recover(self) -> None:
         rows = self.pairs(self.members()).T
@@ -99,6 +133,12 @@ class Reserve(Sketch):
             fresh[:, :n] = np.sort(least, axis=1)
         self.buffer[bare] = fresh[bare]
         self.lim[bare] = self.buffer[bare, -1]
+        self.high = (self.lim >> 32).astype(np.int32)
+
+    def restore(self, buffer: list, lim: list) -> None:
+        """Take up a stored state."""
+        self.buffer[:], self.lim[:] = buffer, lim
+        self.high = (self.lim >> 32).astype(np.int32)
 
     def signature(self) -> np.ndarray:
         return self.buffer[:, 0]

@@ -55,7 +55,7 @@ def maintain_stateful(stream: DataFrame, family: HashFamily, reserve: int, kind:
             held, faults = json.loads(state.get[0]), state.get[1]
             sketch.start(pd.Series(held["members"], dtype="int64").to_numpy())
             if "buffer" in held:
-                sketch.buffer[:], sketch.lim[:] = held["buffer"], held["lim"]
+                sketch.restore(held["buffer"], held["lim"])
         for rows in frames:
             rows = rows.sort_values(["seq", "element", "op"], kind="stable")
             sketch.run(rows["seq"].to_numpy("int64"), rows["element"].to_numpy("int64"), rows["op"].to_numpy())
