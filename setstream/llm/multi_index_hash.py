@@ -10,13 +10,14 @@ queries find ``recall`` of their true neighbours. Every row is indexed. Rows are
 ``SHARD_ROWS`` rows; a query visits every shard and keeps its ``k`` best of each; a query that
 finds fewer than ``k`` rows within the radius widens it in that shard until it has ``k`` or all rows.
 
-Edge cases: vectors that are null, zero, of another length than the first dimension count given, or that hold a null, NaN or infinity take
+Edge cases: vectors that are null, zero, of another length than most of the sample's, or that hold a null, NaN or infinity take
 no part; repeated vectors are all returned, ties go to the smaller id; of rows with equal ids one counts; null ids take no part; fewer than ``k`` candidates give
 all of them; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -126,7 +127,8 @@ def search(vectors: DataFrame, every: int = 20, k: int = 20, recall: float = 0.9
     found = rows.orderBy(F.xxhash64("id"), "id").limit(SAMPLE).collect()  # bounded by SAMPLE
     if not found:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    size = max(len(r["v"]) for r in found)
+    lengths = Counter(len(r["v"]) for r in found)
+    size = max(lengths, key=lambda n: (lengths[n], n))
     sample = np.array([r["v"] for r in found if len(r["v"]) == size])
     rows = rows.where(F.size("v") == size)
     codes = Codes.fit(sample)
