@@ -310,7 +310,7 @@ _replayed("hash_only", legal=True, sql=" UNION ALL ".join(f"SELECT set_id, {i} A
 
 def _faults(kind: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return costs.fault_counts(replay(col.event_updates(spark, sf_dir), kind, FEW, RESERVE, shape=SHAPE))
+        return costs.fault_counts(replay(col.event_updates(spark, sf_dir), kind, DOCS, 2, shape=SHAPE))
 
     run.__name__ = f"{kind}_replay_faults"
     query()(run)
@@ -324,14 +324,14 @@ for _kind in ("reserve", "rebuild", "strict", "eager_bins"):
 def naive_replay_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """How many sets the naive buffer gets wrong."""
     updates = col.event_updates(spark, sf_dir)
-    right = S.signatures(streams.members_at(updates), FEW).withColumnRenamed("sig", "right")
-    both = replay(updates, "naive", FEW, 2).join(right, "set_id", "left")
+    right = S.signatures(streams.members_at(updates), DOCS).withColumnRenamed("sig", "right")
+    both = replay(updates, "naive", DOCS, 2).join(right, "set_id", "left")
     return both.agg(F.count(F.lit(1)).alias("sets"), F.count(F.when(~F.col("sig").eqNullSafe(F.col("right")), 1)).alias("wrong"))
 
 
 @query()
 def reserve_fault_log(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fault_log(replay(col.event_updates(spark, sf_dir), "reserve", FEW, RESERVE))
+    return fault_log(replay(col.event_updates(spark, sf_dir), "reserve", DOCS, 1))
 
 
 # Rebuild baseline

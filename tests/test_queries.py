@@ -16,7 +16,7 @@ def test_query_matches_sql(spark, duck, name):
 @pytest.mark.parametrize("name", sorted(set(catalog.QUERIES) - set(catalog.ORACLES) - SLOW))
 def test_query_without_sql_runs(spark, name):
     df = catalog.QUERIES[name](spark, SMALL)
-    assert len(df.collect()) >= (name != "reserve_fault_log")
+    assert len(df.collect()) >= 1
 
 
 def test_entry(spark):
