@@ -8,11 +8,11 @@ The valid classes' tags are the template, its blocks are template text, and what
 holds the host's article is the template's container with the article's mass of varying, mostly unlinked text.
 
 Extraction reads each page once more: text inside the container, without the parts that markup marks as menus,
-headers, footers, sidebars, notices, adverts, forms, comments, scripts and styles, and without template text outside an
-article. Hosts with too few pages for a template, and pages without their host's container, go by their own markup.
+headers, footers, sidebars, notices, adverts, forms, comments, scripts and styles, and without template text, unless that is
+the page's article (near copies). Hosts with too few pages for a template, and pages without their host's container, go by their own markup.
 
 Edge cases: null and empty pages give the empty text; null and odd urls share the host ''; unclosed and stray tags, comments and truncated
-pages are read as browsers do where it matters; repeated pages cancel evenly in the fingerprints; very long pages are read whole; an empty table gives an
+pages are read as browsers do where it matters; repeated pages and url variants count once; very long pages are read whole; an empty table gives an
 empty result; extra columns are ignored.
 """
 
@@ -61,8 +61,10 @@ ARTICLES = ("article", "main")
 
 #: A class is large with so many tokens, frequent on so many pages and such a share of its host's pages.
 LEAST_TOKENS, LEAST_PAGES, LEAST_SHARE = 2, 3, 0.3
-#: Text runs are template text on such a share of pages.
+#: Text runs are template text on such a share of a host's distinct pages.
 CONSTANT_SHARE = 0.6
+#: Without template text a page whose article is template text keeps less than this share of its text: it is a near copy.
+LEAST_REST = 0.2
 #: A container has to hold such a share of its host's text to be the article's (an article or main element: half).
 CONTAINER_SHARE = 0.98
 #: Templates that are broadcast at once, in bytes; more are joined by shuffle.
@@ -171,52 +173,58 @@ def host_of(url):
     return F.coalesce(F.lower(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#]*)", 1)), F.lit(""))
 
 
+def article_of(page: Page) -> str:
+    """Path of the outermost article or main element, else the empty path."""
+    opened = sorted((p for p in page.opened if re.search(r"/(?:article|main)(?:\.[^/]*)?$", p)), key=_depth)
+    return opened[0] if opened else ""
+
+
+def _inside(path: str, outer: str) -> bool:
+    return path == outer or path.startswith(outer + "/")
+
+
 def _tokens(pages: DataFrame) -> DataFrame:
-    """(host, kind, path, token, pages, vector, chars, linked): partial sums; kinds are page, tag and text."""
+    """(host, page, kind, path, token, n, chars, linked) of each page; kinds are page, tag and text. ``page`` is a hash of the kept text
+    of its article (without one: of the page), so that copies and url variants of one page have one."""
     import xxhash
 
-    schema = "host string, kind string, path string, token long, pages long, vector long, chars long, linked long"
     half = 1 << 63
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh64_intdigest
         for batch in batches:
-            sums: dict[tuple, list[int]] = {}
+            rows: dict[tuple, list[int]] = {}
             for host, source in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                source = source or ""
-                page = Page(source)
-                own = digest(source)
-                seen: dict[tuple, list[int]] = {(host, "page", "", 0): [1, 0, 0]}
+                page = Page(source or "")
+                blocks, outer = [b for b in page.blocks() if b[1]], article_of(page)
+                own = digest("\n".join(b[4] for b in blocks if _inside(b[0], outer))) - half
+                seen: dict[tuple, list[int]] = {(host, own, "page", "", 0): [1, 0, 0]}
                 for path, n in page.opened.items():
-                    seen[(host, "tag", path, 0)] = [n, 0, 0]
-                for path, kept, chars, linked, text in page.blocks():
-                    key = (host, "text" if kept else "side", path, digest(text) - half if kept else 0)
-                    at = seen.setdefault(key, [0, 0, 0])
+                    seen[(host, own, "tag", path, 0)] = [n, 0, 0]
+                for path, _, chars, linked, text in blocks:
+                    at = seen.setdefault((host, own, "text", path, digest(text) - half), [0, 0, 0])
                     at[0] += 1
                     at[1] += chars
                     at[2] += linked
-                for key, (n, chars, linked) in seen.items():
-                    at = sums.setdefault(key, [0, 0, 0, 0])
-                    at[0] += 1
-                    at[1] ^= digest(n.to_bytes(8, "little"), own)
-                    at[2] += chars
-                    at[3] += linked
-            rows = [(*key, v[0], v[1] - half, v[2], v[3]) for key, v in sums.items()]
-            yield pa.RecordBatch.from_pylist([dict(zip(NAMES, r, strict=True)) for r in rows], schema=ARROW)
+                for key, more in seen.items():
+                    at = rows.get(key)
+                    rows[key] = more if at is None else [max(x) for x in zip(at, more, strict=True)]
+            columns = [*zip(*rows), *zip(*rows.values())] if rows else [()] * len(ARROW)
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, ARROW, strict=True)], schema=ARROW)
 
-    return pages.select("host", "html").mapInArrow(run, schema)
+    return pages.select("host", "html").mapInArrow(run, "host string, page long, kind string, path string, token long, n long, chars long, linked long")
 
 
-NAMES = ["host", "kind", "path", "token", "pages", "vector", "chars", "linked"]
-ARROW = pa.schema([(n, pa.string() if n in ("host", "kind", "path") else pa.int64()) for n in NAMES])
+ARROW = pa.schema([(n, pa.string() if n in ("host", "kind", "path") else pa.int64()) for n in ("host", "page", "kind", "path", "token", "n", "chars", "linked")])
 
 
 def templates(pages: DataFrame) -> DataFrame:
-    """(host, pages, container, constant, tags): one row for each host with a template: its article container, the blocks of text that belong to
-    the template, and the template's tags by path."""
-    tokens = _tokens(pages).groupBy("host", "kind", "path", "token")
-    # Partial vectors carry an offset each; an even number of them cancels it, an odd number leaves it, alike for all partitions' sums.
-    tokens = materialise(tokens.agg(F.sum("pages").alias("pages"), F.bit_xor("vector").alias("vector"), F.sum("chars").alias("chars"), F.sum("linked").alias("linked")), "tokens")
+    """(host, pages, container, slot, constant, tags): one row for each host with a template: its number of distinct pages, its article container,
+    the path with most text, the blocks of text that belong to the template, and the template's tags by path."""
+    # Copies and url variants count once.
+    once = _tokens(pages).groupBy("host", "page", "kind", "path", "token").agg(*[F.max(c).alias(c) for c in ("n", "chars", "linked")])
+    sums = [F.count(F.lit(1)).alias("pages"), F.bit_xor(F.xxhash64("n", "page")).alias("vector"), F.sum("chars").alias("chars"), F.sum("linked").alias("linked")]
+    tokens = materialise(once.groupBy("host", "kind", "path", "token").agg(*sums), "tokens")
     hosts = tokens.where("kind = 'page'").select("host", F.col("pages").alias("n"))
     frequent = tokens.where("kind in ('tag', 'text')").where(F.col("pages") >= LEAST_PAGES).join(hosts, "host").where(F.col("pages") >= LEAST_SHARE * F.col("n"))
     large = frequent.groupBy("host", "pages", "vector").agg(
@@ -241,11 +249,12 @@ def templates(pages: DataFrame) -> DataFrame:
     depth = F.size(F.split("path", "/"))
     # The outermost article; without one, the innermost container of the text.
     choice = fit.groupBy("host").agg(F.max_by("path", F.struct(article.alias("a"), F.when(article, -depth).otherwise(depth).alias("d"), "path")).alias("container"))
-    kept = choice.join(shape, "host").where(F.array_contains("tags", F.col("container")))
-    return materialise(kept.join(hosts, "host").select("host", F.col("n").alias("pages"), "container", "constant", "tags"), "templates")
+    most = slots.groupBy("host").agg(F.max_by("path", F.struct("mass", "path")).alias("slot"))
+    kept = choice.join(most, "host").join(shape, "host").where(F.array_contains("tags", F.col("container")))
+    return materialise(kept.join(hosts, "host").select("host", F.col("n").alias("pages"), "container", "slot", "constant", "tags"), "templates")
 
 
-def main_text(source: str | None, container: str | None, constant: set[int]) -> str:
+def main_text(source: str | None, container: str | None, slot: str | None, constant: set[int]) -> str:
     """The article of one page, given its host's template if there is one."""
     import xxhash
 
@@ -253,27 +262,26 @@ def main_text(source: str | None, container: str | None, constant: set[int]) ->
         return ""
     page = Page(source)
     blocks = page.blocks()
-    if container and any(b[0] == container or b[0].startswith(container + "/") for b in blocks):
-        outer = container
-    else:
-        opened = sorted((p for p in page.opened if re.search(r"/(?:article|main)(?:\.[^/]*)?$", p)), key=_depth)
-        outer = opened[0] if opened else ""
-    template = set() if re.search(r"/(?:article|main)\b", outer) else constant
-    inside = (b for b in blocks if b[1] and (b[0] == outer or b[0].startswith(outer + "/")))
-    return "\n".join(b[4] for b in inside if not template or xxhash.xxh64_intdigest(b[4]) - (1 << 63) not in template)
+    outer = container if container and any(_inside(b[0], container) for b in blocks) else article_of(page)
+    inside = [b for b in blocks if b[1] and _inside(b[0], outer)]
+    rest = [b for b in inside if xxhash.xxh64_intdigest(b[4]) - (1 << 63) not in constant] if constant else inside
+    # Text that most pages repeat where the host's articles stand, with next to nothing beside it, is the article of near copies.
+    emptied = any(b[0] == slot for b in inside) and not any(b[0] == slot for b in rest)
+    mass, left = (sum(b[2] - b[3] for b in x) for x in (inside, rest))
+    return "\n".join(b[4] for b in (inside if emptied and left < LEAST_REST * mass else rest))
 
 
 def extract(pages: DataFrame) -> DataFrame:
     """(page_id, url, text) of every page."""
     own = pages.select("page_id", "url", "html", host_of(F.col("url")).alias("host"))
-    known = templates(own).select("host", "container", "constant")
-    size = known.agg(F.sum(F.length("container") + F.length("host") + 8 * F.size("constant") + 64)).first()[0] or 0
+    known = templates(own).select("host", "container", "slot", "constant")
+    size = known.agg(F.sum(F.length("container") + F.length("slot") + F.length("host") + 8 * F.size("constant") + 64)).first()[0] or 0
     joined = own.join(F.broadcast(known) if size <= BROADCAST_BYTES else known, "host", "left")
     schema = joined.select("page_id", "url").schema.add("text", "string", False)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            made = [main_text(s, c, set(k or ())) for s, c, k in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True)]
+            made = [main_text(s, c, at, set(k or ())) for s, c, at, k in zip(*(batch.column(i).to_pylist() for i in range(2, 6)), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(made, pa.string())], names=["page_id", "url", "text"])
 
-    return joined.select("page_id", "url", "html", "container", "constant").mapInArrow(run, schema)
+    return joined.select("page_id", "url", "html", "container", "slot", "constant").mapInArrow(run, schema)

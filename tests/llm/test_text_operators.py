@@ -178,6 +178,25 @@ def test_pages_of_other_templates(spark):
     assert template_html.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_pages_that_are_copies_keep_their_text(spark):
+    text = "".join(f"<p>Sentence {j} of the only story told here, long enough to matter.</p>" for j in range(5))
+    want = "\n".join(f"Sentence {j} of the only story told here, long enough to matter." for j in range(5))
+    box = '<div class="box"><p>Why people trust us: we were founded long ago.</p></div>'
+
+    def main(i):
+        return f"<main><h1>Head {i}</h1><p>Story {i} goes on for some while, with words enough.</p>{box}</main>"
+
+    rows = [(i, f"http://copy.example/?s={i}", page(0, f'<div class="x">{text}</div>')) for i in range(5)]
+    rows += [(10 + i, f"http://variant.example/?s={i}", page(i, f'<div class="x" id="n{i}"><a href="?s={i}"></a>{text}</div>')) for i in range(5)]
+    rows += [(20 + i, f"http://near.example/{i}", page(i, f'<div class="x">{text}<div class="views">{i} views</div></div>')) for i in range(5)]
+    rows += [(30 + i, f"http://main.example/{i}", page(i, main(i))) for i in range(5)]
+    rows += [(40 + i, "http://main.example/0", page(0, main(0))) for i in range(9)]
+    got = {r["page_id"]: r["text"] for r in template_html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for i in range(5):
+        assert got[i] == got[10 + i] == want and got[20 + i] == f"{want}\n{i} views"
+        assert got[30 + i] == f"Head {i}\nStory {i} goes on for some while, with words enough."
+
+
 BASE = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
 
