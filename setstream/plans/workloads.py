@@ -12,6 +12,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions.encoders import top_dims
 from ..functions.hashing import HashFamily
 from ..operators import bins as B
 from ..operators import candidates as C
@@ -116,6 +117,56 @@ def pair_quality(spark: SparkSession, sf_dir: str, name: str, lam: float, budget
     return _union(out)
 
 
+#: Rows of a block that are multiplied at once.
+STRIP = 256
+
+
+def topdim_correlation(vectors: DataFrame, t: int = 8, block: int = 4096) -> DataFrame:
+    """(correlation, pairs) of top-``t`` set similarity and dot product over all pairs of (vec_id, e), a < b.
+
+    Every block of vectors meets every later one (and itself) in a kernel that gives back six sums, so no pair becomes a row.
+    """
+    ranked = vectors.select("vec_id", "e", top_dims(F.col("e"), t).alias("top"))
+    ids = F.pmod(F.xxhash64("vec_id"), F.greatest(F.lit(1), F.ceil(F.col("m") / block))).cast("int").alias("block")
+    size = F.broadcast(vectors.agg(F.count(F.lit(1)).alias("m")))  # one row
+    dealt = ranked.crossJoin(size).select("*", ids)
+    # A block is sent to each cell (x, y), x <= y, that it is a side of.
+    blocks = F.greatest(F.lit(1), F.ceil(F.col("m") / block)).cast("int")
+    other = F.explode(F.sequence(F.lit(0), blocks - 1)).alias("other")
+    cells = dealt.select("vec_id", "e", "top", "block", other).select("vec_id", "e", "top", "block", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"))
+
+    def sums(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("vec_id")
+        x, y = int(rows["x"].iloc[0]), int(rows["y"].iloc[0])
+        left, right = rows[rows["block"] == x], rows[rows["block"] == y]
+        out = np.zeros(6)
+        if len(left) and len(right):
+            width = int(max(map(max, rows["top"]))) + 1
+
+            def side(part: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
+                marks = np.zeros((len(part), width), np.float32)
+                for i, top in enumerate(part["top"]):
+                    marks[i, np.asarray(top, np.int64)] = 1
+                return np.stack(part["e"].to_numpy()).astype(np.float64), marks
+
+            (ea, ma), (eb, mb) = side(left), side(right)
+            for i in range(0, len(left), STRIP):
+                shared = (ma[i : i + STRIP] @ mb.T).astype(np.float64)
+                exact = shared / (ma[i : i + STRIP].sum(1)[:, None] + mb.sum(1)[None, :] - shared)
+                dot = ea[i : i + STRIP] @ eb.T
+                if x == y:
+                    pick = np.triu_indices(len(dot), i + 1, dot.shape[1])
+                    exact, dot = exact[pick], dot[pick]
+                exact, dot = exact.ravel(), dot.ravel()
+                out += [exact.size, exact.sum(), dot.sum(), exact @ exact, dot @ dot, exact @ dot]
+        return pd.DataFrame([out], columns=["n", "s", "d", "ss", "dd", "sd"])
+
+    parts = cells.groupBy("x", "y").applyInPandas(sums, "n double, s double, d double, ss double, dd double, sd double")
+    n, s, d, ss, dd, sd = (F.sum(c) for c in ("n", "s", "d", "ss", "dd", "sd"))
+    spread = F.sqrt((n * ss - s * s) * (n * dd - d * d))
+    return parts.agg(F.round(F.try_divide(n * sd - s * d, spread), 6).alias("correlation"), F.coalesce(n, F.lit(0.0)).cast("bigint").alias("pairs"))
+
+
 def register(query) -> None:
     """Add the workload queries to the catalog."""
     from .catalog import EDGES, FEW, RESERVE, SHAPE, UPDATES, _array_sig_sql, _signature_rows, _sig_sql
@@ -243,12 +294,8 @@ UNION ALL SELECT o_custkey, l_partkey, -1 FROM lineitem JOIN orders ON l_orderke
     @query()
     def topdim_cosine(spark: SparkSession, sf_dir: str) -> DataFrame:
         """Correlation of top-dimension set similarity with the cosine of vectors; a report on other similarities, no more."""
-        v = read(spark, sf_dir, "embeddings").where("vec_id < 200").select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
-        members = col.vector_topdims(spark, sf_dir).where("set_id < 200")
-        exact = S.exact_similarity(members, S.all_pairs(members))
-        dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p * q), F.lit(0.0), lambda s, p: s + p)
-        both = exact.join(v.select(F.col("vec_id").alias("a"), F.col("e").alias("x")), "a").join(v.select(F.col("vec_id").alias("b"), F.col("e").alias("y")), "b")
-        return both.agg(F.round(F.corr("exact", dot), 6).alias("correlation"), F.count(F.lit(1)).alias("pairs"))
+        v = read(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").alias("e"))
+        return topdim_correlation(v.where("vec_id is not null and size(e) > 0"))
 
     @query()
     def minwise_check(spark: SparkSession, sf_dir: str) -> DataFrame:
