@@ -115,6 +115,20 @@ def edge_set_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return streams.edge_updates(W.numbered_edges(spark, sf_dir))
 
 
+WHOLE_EDGES = "SELECT DISTINCT o_custkey AS u, l_partkey + 1000000000 AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
+
+
+@query()
+def whole_edge_two_hop(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return streams.neighbourhoods(col.edges(spark, sf_dir), 2)
+
+
+@query(f"""WITH e AS (SELECT row_number() OVER (ORDER BY u, v) AS seq, u, v FROM ({WHOLE_EDGES}))
+SELECT seq, u AS set_id, v AS element, 1 AS op FROM e UNION ALL SELECT seq, v, u, 1 FROM e""")
+def whole_edge_set_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return streams.edge_updates(W.numbered_whole(spark, sf_dir))
+
+
 # Signatures and similarity
 
 
@@ -289,6 +303,12 @@ def reserve_compact(spark: SparkSession, sf_dir: str) -> DataFrame:
     return small.select("set_id", F.size("elements").cast("bigint").alias("n"))
 
 
+@query(f"SELECT set_id, len(e) AS n FROM (SELECT set_id, list(element) AS e FROM ({WHOLE_EDGES.replace('AS u', 'AS set_id').replace('AS v', 'AS element')}) GROUP BY 1) WHERE len(e) < {RESERVE}")
+def whole_reserve_compact(spark: SparkSession, sf_dir: str) -> DataFrame:
+    small = R.compact(R.reserve_init(streams.neighbourhoods(col.edges(spark, sf_dir), 1), FEW, RESERVE)).where("elements is not null")
+    return small.select("set_id", F.size("elements").cast("bigint").alias("n"))
+
+
 # Sequential replay
 
 

@@ -36,6 +36,15 @@ def numbered_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return col.thin_edges(spark, sf_dir).select(seq.alias("seq"), "u", "v", F.lit(1).alias("op"))
 
 
+def numbered_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Edges of the whole graph, numbered likewise; only the left ends' degrees are summed in one task."""
+    every = col.edges(spark, sf_dir)
+    before = F.sum("n").over(Window.orderBy("u").rowsBetween(Window.unboundedPreceding, -1))
+    first = every.groupBy("u").agg(F.count(F.lit(1)).alias("n")).select("u", F.coalesce(before, F.lit(0)).alias("first"))
+    seq = (F.col("first") + F.row_number().over(Window.partitionBy("u").orderBy("v"))).cast("bigint")
+    return every.join(first, "u").select(seq.alias("seq"), "u", "v", F.lit(1).alias("op"))
+
+
 def fault_grid(updates: DataFrame, ks: list[int], reserves: list[int], kind: str = "reserve") -> DataFrame:
     """(k, reserve, sets, ops, faults, reread, mean_faults) of one stream for each k and reserve size."""
     out = []
@@ -169,7 +178,7 @@ def topdim_correlation(vectors: DataFrame, t: int = 8, block: int = 4096) -> Dat
 
 def register(query) -> None:
     """Add the workload queries to the catalog."""
-    from .catalog import EDGES, FEW, RESERVE, SHAPE, UPDATES, _array_sig_sql, _signature_rows, _sig_sql
+    from .catalog import EDGES, FEW, RESERVE, SHAPE, UPDATES, WHOLE_EDGES, _array_sig_sql, _signature_rows, _sig_sql
 
     @query()
     def faults_by_reserve(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -291,6 +300,13 @@ UNION ALL SELECT o_custkey, l_partkey, -1 FROM lineitem JOIN orders ON l_orderke
         """Neighbourhood sketches of both ends kept from edge updates."""
         return _signature_rows(replay(streams.edge_updates(numbered_edges(spark, sf_dir)), "reserve", FEW, RESERVE).select("set_id", "sig"))
 
+    whole = WHOLE_EDGES.replace("AS u", "AS set_id").replace("AS v", "AS element")
+
+    @query(_sig_sql(f"{whole} UNION ALL SELECT element, set_id FROM ({whole})", FEW))
+    def whole_edge_neighbourhood_signatures(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Neighbourhood sketches of both ends kept from the edge updates of all order lines."""
+        return _signature_rows(replay(streams.edge_updates(numbered_whole(spark, sf_dir)), "reserve", FEW, RESERVE).select("set_id", "sig"))
+
     @query()
     def topdim_cosine(spark: SparkSession, sf_dir: str) -> DataFrame:
         """Correlation of top-dimension set similarity with the cosine of vectors; a report on other similarities, no more."""

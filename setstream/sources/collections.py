@@ -99,6 +99,11 @@ def thin_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.select(F.col("o_custkey").cast("bigint").alias("u"), (F.col("l_partkey") + 1_000_000_000).cast("bigint").alias("v")).distinct()
 
 
+def edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customer–part edges of all order lines; parts are numbered after customers."""
+    return customer_parts(spark, sf_dir).select(F.col("set_id").alias("u"), (F.col("element") + 1_000_000_000).alias("v"))
+
+
 def nation_customers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _members(read(spark, sf_dir, "customer"), F.col("c_nationkey"), F.col("c_custkey"))
 

@@ -20,3 +20,14 @@ def test_topdim_cosine_covers_all_vectors(spark):
     small = spark.read.parquet(f"{SMALL}/embeddings.parquet").selectExpr("cast(vec_id as bigint) as vec_id", "cast(embedding as array<double>) as e")
     (blocks,) = W.topdim_correlation(small, block=100).collect()
     assert blocks["pairs"] == len(a) and abs(blocks["correlation"] - want) < 1e-5
+
+
+def test_whole_graph_has_every_order_line(spark, duck):
+    from setstream.plans import catalog
+
+    (edges,) = duck.execute("SELECT count(*) FROM (SELECT DISTINCT o_custkey, l_partkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey)").fetchone()
+    updates = catalog.QUERIES["whole_edge_set_updates"](spark, SMALL)
+    assert updates.count() == 2 * edges and updates.agg({"seq": "max"}).first()[0] == edges
+    near = duck.execute("""WITH e AS (SELECT DISTINCT o_custkey AS u, l_partkey AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey)
+        SELECT count(*) FROM (SELECT DISTINCT x.u, y.u FROM e x JOIN e y ON x.v = y.v WHERE x.u <> y.u)""").fetchone()[0]
+    assert catalog.QUERIES["whole_edge_two_hop"](spark, SMALL).count() == near
