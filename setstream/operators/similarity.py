@@ -158,12 +158,22 @@ def error_slope(errors: DataFrame) -> DataFrame:
     return errors.agg(F.regr_slope(F.log("rmse"), F.log("k")).alias("slope"))
 
 
-def all_pairs(sets: DataFrame) -> DataFrame:
-    """All id pairs a < b of a collection of checked size (quadratic: for small collections only)."""
+def all_pairs(sets: DataFrame, block: int = 4096) -> DataFrame:
+    """All id pairs a < b of a collection of any size. The result grows with the square; blocks of about ``block`` ids meet in cells, so
+    no side is broadcast. Where only pairs with a shared element count, see ``sharing_pairs``."""
     ids = sets.select("set_id").distinct()
-    if ids.count() > 5000:
-        raise ValueError("all_pairs is quadratic; give candidate pairs instead")
-    return ids.select(F.col("set_id").alias("a")).join(F.broadcast(ids.select(F.col("set_id").alias("b"))), F.col("a") < F.col("b"))
+    size = F.broadcast(ids.agg(F.greatest(F.lit(1), F.ceil(F.count(F.lit(1)) / block)).cast("int").alias("blocks")))  # one row
+    dealt = ids.crossJoin(size).withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
+    rows = dealt.select(F.col("set_id").alias("a"), F.col("own").alias("x"), other).withColumnRenamed("other", "y")
+    columns = dealt.select(F.col("set_id").alias("b"), F.col("own").alias("y"), other).withColumnRenamed("other", "x")
+    return rows.join(columns.hint("shuffle_hash"), ["x", "y"]).where("a < b").select("a", "b")
+
+
+def sharing_pairs(members: DataFrame) -> DataFrame:
+    """All id pairs a < b that share an element; every other pair has similarity 0."""
+    a, b = members.select(F.col("set_id").alias("a"), "element"), members.select(F.col("set_id").alias("b"), "element")
+    return a.join(b, "element").where("a < b").select("a", "b").distinct()
 
 
 def empty_signature() -> int:

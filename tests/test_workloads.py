@@ -3,6 +3,7 @@
 import numpy as np
 from checks import SMALL
 
+from setstream.operators import similarity as S
 from setstream.plans import workloads as W
 
 
@@ -31,3 +32,9 @@ def test_whole_graph_has_every_order_line(spark, duck):
     near = duck.execute("""WITH e AS (SELECT DISTINCT o_custkey AS u, l_partkey AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey)
         SELECT count(*) FROM (SELECT DISTINCT x.u, y.u FROM e x JOIN e y ON x.v = y.v WHERE x.u <> y.u)""").fetchone()[0]
     assert catalog.QUERIES["whole_edge_two_hop"](spark, SMALL).count() == near
+
+
+def test_all_pairs_has_no_limit(spark):
+    n = 5200
+    got = S.all_pairs(spark.range(n).withColumnRenamed("id", "set_id"), block=1000).selectExpr("count(*) AS n", "sum(a) AS a", "sum(b) AS b").first()
+    assert (got["n"], got["a"], got["b"]) == (n * (n - 1) // 2, sum(a * (n - 1 - a) for a in range(n)), sum(b * b for b in range(n)))
