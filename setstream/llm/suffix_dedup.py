@@ -1,11 +1,10 @@
 """Passages that occur more than once, by sparse suffixes at minimiser positions.
 
 Of every ``length`` consecutive words the ``gram``-word run with the least hash is the window's anchor, so equal windows
-have their anchors at the same place in them: only suffixes that begin at anchors are kept (about one word in 16). They are
-sorted by their first ``gram`` words across the cluster and neighbours compared; a suffix whose neighbours differ is
-dropped. From the anchors that are left, matches are extended: every window that an anchor stands for, with its words left and right of
-the anchor, is compared with the windows of equal anchors (as sorted 64-bit hashes), which finds every repeated window, whichever
-of many partners it is shared with. Repeated windows of a text are then merged into maximal spans.
+have their anchors at the same place in them: only suffixes that begin at anchors are kept (about one word in 16). No suffix is
+sorted: they are grouped by a hash of their first ``gram`` words, and one that is alone in its group is dropped. For the anchors
+that are left, every window that an anchor stands for is grouped by its 64-bit hash, which finds every repeated window, whichever
+of many partners it is shared with; only a collision of hashes can add one. Repeated windows of a text are then merged into maximal spans.
 
 Texts are compared once for each distinct text; copies of a whole text are counted, not compared. All groupings are
 aggregations with partial sums or joins that can be split, so a passage in a third of all rows is no single task's load.
