@@ -197,6 +197,51 @@ def test_pages_that_are_copies_keep_their_text(spark):
         assert got[30 + i] == f"Head {i}\nStory {i} goes on for some while, with words enough."
 
 
+def neutral(i, lines=3):
+    """A page whose names say nothing: menu, notice, article, remarks of readers and a foot."""
+    remarks = "".join(f'<div class="k7"><div class="k8">Reader {i * 7 + j}</div><p>I have a view on matter {i * 3 + j}, and a long one.</p></div>' for j in range(i % 3 + 1))
+    links = "".join(f'<div><a href="/{i}/{j}">See also {i * 5 + j}</a></div>' for j in range(4))
+    text = "".join(f"<p>Line {j} of story {i} says something of its own, at some length, as stories do.</p>" for j in range(lines + i % 4))
+    return page(
+        i,
+        f'<div class="a1"><a href="/">Start</a> <a href="/p{i}">Page {i}</a></div><div class="a2">Today only: offer {i * 11}!</div>'
+        f'<div class="a3"><div class="b1"><h1>Story number {i}</h1></div><div class="b2">{text}<p>Follow us for more of this.</p><div class="b3">{links}</div><div class="b4">{remarks}</div></div></div>'
+        f'<div class="a4">Foot of page {i}</div>',
+    )
+
+
+def test_templates_decide_without_names(spark):
+    rows = [(i, f"http://plain.example/{i}", neutral(i)) for i in range(9)]
+    frame = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "page_id as host", "url as container", "1 as pages")
+    got = {r["page_id"]: r["text"] for r in template_html.extract(frame).collect()}
+    for i in range(9):
+        want = [f"Story number {i}"] + [f"Line {j} of story {i} says something of its own, at some length, as stories do." for j in range(3 + i % 4)]
+        assert got[i] == "\n".join(want)
+        # Without the template all of the page stays.
+        bare = template_html.main_text(neutral(i), None, None, [], [], set())
+        assert bare != got[i] and "Today only" in bare and "Reader" in bare and "See also" in bare
+    (template,) = template_html.templates(frame.withColumn("host", F.lit("plain.example"))).collect()
+    labels = [x["label"] for x in template["outline"]]
+    assert template["pages"] == 9 and labels.index("div.a1") < labels.index("div.a2") < labels.index("h1") and "body.site" in labels
+
+
+def test_classes_need_order_and_nesting():
+    def element(key, up, label, place, vector=1, most=1, chars=10):
+        return {"key": key, "up": up, "label": label, "article": False, "token": 0, "pages": 10, "vector": vector, "most": most, "chars": chars, "linked": 0, "own": chars, "place": place * 10}
+
+    base = [element(1, 0, "html", 1, chars=500), element(2, 1, "body", 2, chars=500), element(3, 2, "div.x", 3, chars=100), element(4, 2, "div.y", 4, chars=400)]
+    split = [element(5, 3, "p", 5, vector=9, most=3), element(6, 4, "p", 6, vector=9, most=3)]
+    found = template_html.deduce(10, 1, [*base, *split], [], [])
+    assert [x for x, _ in found.outline] == ["html", "body", "div.x", "div.y"] and found.container == 4  # one class in two slots is not nested
+    turned = [{"key": 3, "token": 4, "pages": 5}]
+    assert "div.x" not in [x for x, _ in template_html.deduce(10, 1, base, turned, []).outline]
+
+
+def test_deep_pages_are_read_whole():
+    deep = "<div>" * 30_000 + "<p>bottom</p>"
+    assert template_html.main_text(deep, None, None, [], [], set()) == "bottom"
+
+
 BASE = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
 
