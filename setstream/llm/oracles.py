@@ -36,7 +36,7 @@ WITH doc AS (
   SELECT row_id, doc_id, i - 1 AS s, md5(array_to_string(w[i:i + 49], ' ')) AS h
   FROM (SELECT row_id, doc_id, w, unnest(range(1, len(w) - 48)) AS i FROM doc WHERE len(w) >= 50)
 ), rep AS (
-  SELECT h, min(doc_id) AS least FROM win GROUP BY 1 HAVING count(*) > 1
+  SELECT h, min(doc_id) AS least FROM win GROUP BY 1 HAVING count(DISTINCT row_id) > 1
 ), hit AS (
   SELECT row_id, doc_id, s, least, lag(s) OVER (PARTITION BY row_id ORDER BY s) AS before FROM win JOIN rep USING (h)
 ), island AS (

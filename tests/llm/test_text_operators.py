@@ -138,15 +138,66 @@ def test_repeated_passages(spark, dirty, empty):
     words = [f"w{i}" for i in range(4000)]
     passage, short = " ".join(rng.choice(words, 70)), " ".join(rng.choice(words, 49))
     own = [" ".join(rng.choice(words, 60)) for _ in range(5)]
-    texts = [f"{own[0]} {passage} x", f"{passage} {own[1]}", f"{own[2]} {short}", f"{own[3]} {short}", f"{own[4]} {passage} {passage}", own[0]]
+    texts = [f"{own[0]} {passage} x", f"{passage} {own[1]}", f"{own[2]} {short}", f"{own[3]} {short}", f"{own[4]} {passage} {passage}", own[0], f"{short} {short} {short}"]
     docs = dirty.select("doc_id", "text").union(spark.createDataFrame([(100 + i, t) for i, t in enumerate(texts)], "doc_id long, text string"))
     got = sorted((r["doc_id"], r["from_word"], r["to_word"], r["first_doc_id"]) for r in suffix_dedup.repeated_passages(docs).collect())
-    assert got == [(6, 0, 40_000, 6), (100, 0, 130, 100), (101, 0, 70, 100), (104, 60, 200, 100), (105, 0, 60, 100)]
-    cut = {r["doc_id"]: r["text"] for r in suffix_dedup.drop_repeats(docs.where("doc_id >= 100")).collect()}
-    assert cut[100] == texts[0] and cut[101] == own[1] and cut[102] == texts[2] and cut[105] == ""
+    # A text that repeats itself alone is left alone.
+    assert got == [(100, 0, 130, 100), (101, 0, 70, 100), (104, 60, 200, 100), (105, 0, 60, 100)]
+    extra = docs.where("doc_id >= 100").selectExpr("*", "1 as _cut", "2 as digest", "'x' as spans")
+    again = extra.union(spark.createDataFrame([(102, own[0], 1, 2, "y"), (None, own[0], 1, 2, "z")], extra.schema))
+    cut = {(r["doc_id"], r["spans"]): r["text"] for r in suffix_dedup.drop_repeats(again).collect()}
+    assert len(cut) == 9 and cut[100, "x"] == texts[0] and cut[101, "x"] == own[1] and cut[102, "x"] == texts[2] and cut[105, "x"] == cut[102, "y"] == cut[None, "z"] == ""
     assert suffix_dedup.repeated_passages(empty).count() == 0
 
 
+def windows_model(texts, length):
+    """(text, start, least) of all windows that another text holds too."""
+    held = {}
+    for i, t in enumerate(texts):
+        w = t.split()
+        for s in range(len(w) - length + 1):
+            held.setdefault(tuple(w[s : s + length]), []).append((i, s))
+    return {(i, s, min(at)[0]) for at in held.values() if len({i for i, _ in at}) > 1 for i, s in at}
+
+
+@pytest.mark.parametrize("hot", [256, 0, 2])
+def test_repeats_equal_brute_force(spark, tmp_path, hot):
+    """Few words, so that grams are shared by texts that go on differently on both sides. The worker reads the bound from its own module."""
+    rng = np.random.default_rng(7)
+    pieces = [" ".join(rng.choice(["a", "bé", "c" * 60], 6)) for _ in range(5)]
+    texts = [" ".join(rng.choice(pieces, rng.integers(0, 6))) for _ in range(60)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    before = suffix_dedup.HOT
+    suffix_dedup.HOT = hot
+    try:
+        got = sorted(tuple(r) for r in suffix_dedup.repeated_passages(docs, length=10, gram=4).collect())
+    finally:
+        suffix_dedup.HOT = before
+    want = []
+    found = windows_model(texts, 10)
+    for i in range(len(texts)):
+        own = sorted((s, least) for d, s, least in found if d == i)
+        spans = []
+        for s, least in own:
+            if spans and s <= spans[-1][1]:
+                spans[-1] = (spans[-1][0], s + 10, min(spans[-1][2], least))
+            else:
+                spans.append((s, s + 10, least))
+        want += [(i, *x) for x in spans]
+    assert got == sorted(want)
+
+
+def test_windows_are_compared_by_their_words():
+    """Rows that are dealt to one run by an equal hash, though their words differ, don't match."""
+    import pyarrow as pa
+
+    words = [f"w{i}" for i in range(60)]
+    same, other = " ".join(words), " ".join(f"x{w}" for w in words)
+    late = " ".join(words[:40] + ["y"] * 20)
+    rows = suffix_dedup.repeated_runs(pa.array([same, other, same, late]), np.array([10, 10, 10, 10]), np.array([0, 1, 2, 3]), np.array([5, 6, 7, 4]), 50, 20)
+    assert [tuple(int(v) for v in r) for r in zip(*rows, strict=True)] == [(0, -10, 0, 5), (2, -10, 0, 5)]
+
+
 def test_given_pages(spark):
     got = {r["page_id"]: r["text"] for r in template_html.extract(spark.read.parquet(f"{SMALL}/pages.parquet")).collect()}
     for p in pq.read_table(f"{SMALL}/pages.parquet").to_pylist():
