@@ -335,3 +335,92 @@ def test_contexts_find_unseen_identifiers(spark):
     rows += [(30, "his home phone 0171-8826-123 bye"), (31, "value 0171-8826-123 and code 77-1"), (32, "her lucky number 0171-8826-999 bye")]
     got = {r["doc_id"]: r["text"] for r in contextual_pii.redact(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got[0] == "his home phone [PHONE] bye" and got[30] == "his home phone [PHONE] bye" and got[31] == "value [PHONE] and code 77-1" and got[32] == rows[-1][1]
+
+
+def mention_model(text):
+    """(start, end, word, context, seed) of base matches and the mentions between them."""
+    cuts = []
+    for a, b, order in sorted((int(a), -int(b), contextual_pii.KINDS.index(k)) for k, a, b in (x.split(":") for x in base_model(text).split(",") if x)):
+        if cuts and a < cuts[-1][1]:
+            cuts[-1][1] = max(cuts[-1][1], -b)
+        else:
+            cuts.append([a, -b, order])
+    inner, found = re.compile(r"(?<!\S)[^\s0-9@]*[0-9@]\S*(?:\x20[(+]?[0-9][0-9()./+-]*(?!\S))*"), []
+    for (_, at, _), (end, stop, order) in zip([(0, 0, 0), *cuts], [*cuts, (len(text), len(text), None)], strict=True):
+        found += [(at + m.start(), at + m.end(), None) for m in inner.finditer(text[at:end])]
+        found += [(end, stop, order)] * (order is not None)
+    out, at, left = [], 0, "^ ^ "
+    for start, end, order in found:
+        words = (left + text[at:start]).split()[-2:]
+        context = re.sub(r"[^\w=@#:^]+", " ", re.search(r"\S+(\s+\S+)?$", (left + text[at:start]).rstrip())[0].lower()) if words else ""
+        word = text[start:end]
+        if order is None:
+            bare = re.sub(contextual_pii.OPENING, "", word)
+            word = re.sub(contextual_pii.CLOSING, "", bare)
+            out.append((end - len(bare), end - len(bare) + len(word), word, context, None))
+        else:
+            out.append((start, end, word, context, order))
+        at, left = end, "# "
+    return out
+
+
+def discovery_model(mentions):
+    """(order, word) that ``discover`` should find, in plain sets and sums."""
+    graph = {}
+    for _, _, word, context, seed in mentions:
+        if word:
+            graph.setdefault((context, word), set()).update({seed} - {None})
+    seeds = {(w, o) for (_, w), orders in graph.items() for o in orders}
+    score = dict.fromkeys(seeds, 1.0)
+
+    def plausible(w, o):
+        n = len(re.sub("[^0-9]", "", w))
+        return (("@" in w and len(w) >= 5), bool(re.match(r"[0-9A-Fa-f]+([.:][0-9A-Fa-f]*){2,}$", w)), 12 <= n <= 19 and not re.search("[A-Za-z]", w), 7 <= n <= 15 and not re.search("[A-Za-z@]", w))[o]
+
+    for _ in range(contextual_pii.ROUNDS):
+        doubt = {}
+        for context in {c for c, _ in graph}:
+            words = [w for c, w in graph if c == context]
+            for o in range(4):
+                share = sum(score.get((w, o), 0) for w in words) / len(words)
+                if sum(o in graph[context, w] for w in words) >= contextual_pii.LEAST_SEEDS and share >= contextual_pii.LEAST_SHARE:
+                    for w in words:
+                        if not graph[context, w] and plausible(w, o):
+                            doubt[w, o] = doubt.get((w, o), 1.0) * max(1e-9, 1 - share)
+        score = dict.fromkeys(seeds, 1.0) | {k: 1 - d for k, d in doubt.items() if 1 - d >= contextual_pii.LEAST_SCORE and k not in seeds}
+    return {(o, w) for w, o in set(score) - seeds}
+
+
+def test_discovery_equals_brute_force(spark):
+    rng = np.random.default_rng(11)
+    lead = ["we call him", "pay by card", "to reach me at", "from the address", "box", "ref", "the"]
+    marks = ["+1 555 {} 2000", "0171 882 {}", "{}-882-61", "411111111111{}", "4111 1111 1111 1111", "a{}@b.co", "a{}@b", "10.0.0.{}", "10.0.{}", "{}", "(0{}) 77 88, "]
+    rows = []
+    for i in range(600):
+        # Some leads come with base matches nearly always, others with anything.
+        def one(j):
+            usual = [[0], [4], [5], [7]][j % 4] if j < 4 and rng.random() < 0.9 else range(len(marks))
+            return f"{lead[j]} {marks[rng.choice(usual)].format(rng.integers(100, 250))}"
+
+        rows.append((i, rng.choice([" ", " and ", "; ", ". "]).join(one(rng.integers(0, len(lead))) for _ in range(rng.integers(0, 4)))))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    prepared = contextual_pii.prepare(docs)
+    mentions = {r["doc_id"]: [tuple(m) for m in r["mentions"]] for r in prepared.collect()}
+    for i, text in rows:
+        assert mentions[i] == mention_model(text), text
+    want = discovery_model([m for i, _ in rows for m in mentions[i]])
+    assert {(r["order"], r["word"]) for r in contextual_pii.discover(prepared).collect()} == want and want
+
+
+def test_long_texts_of_numbers(spark):
+    """Work grows with the text, not with its square."""
+    docs = spark.createDataFrame([(1, "1.2.3.4 12345 " * 20_000)], "doc_id long, text string")
+    assert contextual_pii.scan(docs).selectExpr("size(base)").first()[0] == 20_000
+    assert contextual_pii.redact(docs).first()["text"] == "[IP] 12345 " * 20_000
+
+
+def test_groups_and_beginnings(spark):
+    rows = [(i, f"+1 555 {1000 + i} {2000 + i} is his") for i in range(9)] + [(20 + i, f"Phone: +1 555 {3000 + i} {2000 + i}") for i in range(9)]
+    rows += [(40, "0171 882 6123 is hers"), (41, "Phone: 0171 882 6124"), (42, "Room 0171 882 6125")]
+    got = {r["doc_id"]: r["text"] for r in contextual_pii.redact(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[40] == "[PHONE] is hers" and got[41] == "Phone: [PHONE]" and got[42] == rows[-1][1]
