@@ -77,6 +77,59 @@ def test_decontamination(spark, dirty, empty, monkeypatch, block):
     assert decontam.overlaps(empty, table).count() == 0 and decontam.overlaps(dirty, table.limit(0)).where("size(spans) > 0").count() == 0
 
 
+def longest_model(text, items, starts):
+    """(words, from_word, item_id, item_word) of the longest verbatim match that begins at one of the hits."""
+    words = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (t or "").translate(LOWER))
+    w, best = words(text), None
+    for s in starts:
+        for i, t in items:
+            v = words(t)
+            for j in range(len(v)):
+                n = 0
+                while s + n < len(w) and j + n < len(v) and w[s + n] == v[j + n]:
+                    n += 1
+                best = min(best or (0, 0, 0, 0), (-n, s, i, j)) if n else best
+    return None if best is None else (-best[0], *best[1:])
+
+
+@pytest.mark.parametrize("block", [decontam.ITEM_BYTES, 120])
+def test_longest_matches_and_their_places(spark, monkeypatch, block):
+    monkeypatch.setattr(decontam, "ITEM_BYTES", block)
+    rng = np.random.default_rng(8)
+    items = [(10 - i, " ".join(rng.choice(["a", "b", "c"], n))) for i, n in enumerate([30, 14, 5, 60, 60, 3])] + [(3, "z " * 25), (2, "y " * 10)]
+    made = [" ".join(rng.choice(["a", "b", "c", "other"], 40, p=[0.35, 0.35, 0.25, 0.05])) for _ in range(40)]
+    made += [f"x {items[3][1]} b {items[4][1]}", "z " * 30, "q", f"{items[0][1]} {items[0][1]}"]
+    docs = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
+    rows = {r["doc_id"]: r for r in decontam.overlaps(docs, spark.createDataFrame(items, "item_id long, text string")).collect()}
+    for i, text in enumerate(made):
+        r = rows[i]
+        w = re.findall("[a-z]+", text)
+        starts = [s for s in range(len(w)) for _, t in items for v in [t.split()] for n in [min(10, len(v))] for j in range(len(v) - n + 1) if w[s : s + n] == v[j : j + n]]
+        assert (tuple(r["longest"]) if r["longest"] else None) == longest_model(text, items, sorted(set(starts))), text
+
+
+def test_benchmarks_need_little_memory():
+    """Items in memory take a few times their text, at their peak too."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    from setstream.llm.text import chunks
+
+    rng = np.random.default_rng(1)
+    vocabulary = np.array([f"word{i}" for i in range(20_000)])
+    texts = pa.array([" ".join(rng.choice(vocabulary, 400)) for _ in range(600)])
+    size = sum(len(t.as_py()) for t in texts)
+    decontam.chunks, before = (lambda column: chunks(column, 1 << 18)), decontam.chunks
+    decontam.Windows([1], pa.array(["tables that stay are made first"]), 10)
+    tracemalloc.start()
+    windows = decontam.Windows(list(range(600)), texts, 10)
+    held, peak = tracemalloc.get_traced_memory()
+    tracemalloc.stop()
+    decontam.chunks = before
+    assert len(windows) == 600 * 391 and held < 6 * size and peak < 25 * size
+
+
 def fingerprint_model(text, shingle=4):
     import xxhash
 
