@@ -6,19 +6,20 @@ radius r of a query differs in at most r / m bits in at least one of its m subst
 values that near finds every code within r. What is found within r is reranked by the exact inner product.
 
 Rotations and radius are fitted on a bounded sample of rows (``SAMPLE``); the radius is one at which the sample's own
-queries find ``recall`` of their true neighbours. Every row is indexed. Rows are dealt to shards of about
-``SHARD_ROWS`` rows; a query visits every shard and keeps its ``k`` best of each; a query that
+queries find ``recall`` of their true neighbours. Every row is indexed. Rows are dealt to shards of at most about
+``SHARD_ROWS`` rows and queries to blocks of ``QUERY_BLOCK``, so a vector is sent once for every block of queries and a query once for
+every shard; a query keeps its ``k`` best of each shard. A query that
 finds fewer than ``k`` rows within the radius widens it in that shard until it has ``k`` or all rows.
+Scores that decide are summed in one fixed order, so that equal vectors tie exactly and go by id.
 
 Edge cases: vectors that are null, zero, of another length than most of the sample's, or that hold a null, NaN or infinity take
-no part; repeated vectors are all returned, ties go to the smaller id; of rows with equal ids one counts; null ids take no part; fewer than ``k`` candidates give
+no part; repeated vectors are all returned, ties go to the smaller id; of rows with equal ids the least vector counts; null ids take no part; fewer than ``k`` candidates give
 all of them; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -31,9 +32,10 @@ from .runtime import materialise
 SAMPLE, SAMPLE_QUERIES = 8192, 200
 #: Learned rotations; with 64-dimensional vectors each gives 64 bits.
 ROTATIONS = 4
-SHARD_ROWS = 1 << 15
+#: Rows of a shard at most, and at least where there are tasks to spare.
+SHARD_ROWS, LEAST_ROWS = 1 << 16, 1 << 13
 #: Queries that meet one shard at once.
-QUERY_BLOCK = 4096
+QUERY_BLOCK = 1 << 15
 SUBSTRING = 16
 
 
@@ -67,27 +69,23 @@ class Codes:
 
 
 class MultiIndex:
-    """Tables of one shard: for each substring its distinct values and the rows of each."""
+    """Tables of one shard: for each substring the rows in order of its value, and where each of the 2^16 values begins."""
 
     def __init__(self, codes: np.ndarray):
         self.codes, self.tables = codes, []
         for j in range(codes.shape[1]):
-            order = np.argsort(codes[:, j], kind="stable")
-            values, first = np.unique(codes[order, j], return_index=True)
-            self.tables.append((order, values, np.append(first, len(order))))
+            order = np.argsort(codes[:, j], kind="stable").astype(np.int32)
+            self.tables.append((order, np.searchsorted(codes[order, j], np.arange((1 << SUBSTRING) + 1)).astype(np.int32)))
 
     def within(self, code: np.ndarray, radius: int) -> np.ndarray:
-        """Rows whose code differs from ``code`` in at most ``radius`` bits."""
+        """Rows whose code differs from ``code`` in at most ``radius`` bits: probes every value that near in every table."""
         near, found = radius // len(self.tables), np.zeros(len(self.codes), bool)
         masks = MASKS[: FIRST_OF_WEIGHT[min(near, SUBSTRING) + 1]]
-        for (order, values, first), own in zip(self.tables, code, strict=True):
-            if len(masks) * 16 < len(values):  # probe by every value that near
-                probe = masks ^ own
-                at = np.minimum(np.searchsorted(values, probe), len(values) - 1)
-                at = at[values[at] == probe]
-            else:  # comparing the values taken is cheaper than looking up those near
-                at = np.flatnonzero(np.bitwise_count(values ^ own) <= near)
-            lo, n = first[at], first[at + 1] - first[at]
+        for (order, first), own in zip(self.tables, code, strict=True):
+            probe = (masks ^ own).astype(np.int64)
+            lo = first[probe]
+            n = first[probe + 1] - lo
+            lo, n = lo[n > 0], n[n > 0]
             found[order[np.repeat(lo - np.cumsum(n) + n, n) + np.arange(n.sum())]] = True
         rows = np.flatnonzero(found)
         return rows[np.bitwise_count(self.codes[rows] ^ code).sum(1) <= radius]
@@ -118,6 +116,29 @@ def usable(vector):
     return vector.isNotNull() & (F.size(vector) > 0) & ~F.coalesce(bad, F.lit(True)) & F.exists(vector, lambda x: x != 0)
 
 
+def exact_products(vectors: np.ndarray, query: np.ndarray) -> np.ndarray:
+    """Inner products summed from the first component to the last."""
+    total = np.zeros(len(vectors))
+    for j in range(len(query)):
+        total += vectors[:, j] * query[j]
+    return total
+
+
+def best_of(ids: np.ndarray, vectors: np.ndarray, query: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Positions and exact scores of the ``k`` rows of largest inner product, ties to the smaller id."""
+    score = vectors @ query
+    if len(score) > k:
+        # Whatever may round to a place among the best is summed exactly.
+        least = np.partition(score, -k)[-k]
+        slack = 1e-12 * len(query) * (np.abs(vectors).max(initial=0) * np.abs(query).max(initial=0))
+        some = np.flatnonzero(score >= least - slack)
+    else:
+        some = np.arange(len(score))
+    exact = exact_products(vectors[some], query)
+    order = np.lexsort((ids[some], -exact))[:k]
+    return some[order], exact[order]
+
+
 def search(vectors: DataFrame, every: int = 20, k: int = 20, recall: float = 0.97, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score): for every row whose id is divisible by ``every``, its ``k`` nearest other rows by inner
     product."""
@@ -131,25 +152,25 @@ def search(vectors: DataFrame, every: int = 20, k: int = 20, recall: float = 0.9
     size = max(lengths, key=lambda n: (lengths[n], n))
     sample = np.array([r["v"] for r in found if len(r["v"]) == size])
     rows = rows.where(F.size("v") == size)
+    if not rows.groupBy("id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
+        rows = materialise(rows.groupBy("id").agg(F.min("v").alias("v")), "vectors")
     codes = Codes.fit(sample)
     radius = fit_radius(sample, codes, k, recall)
     n = rows.count()
-    shards, blocks = -(-n // SHARD_ROWS), -(-n // every // QUERY_BLOCK) or 1
+    shards = max(-(-n // SHARD_ROWS), min(spark.sparkContext.defaultParallelism, n // LEAST_ROWS), 1)
+    blocks = -(-n // every // QUERY_BLOCK) or 1
     shared = spark.sparkContext.broadcast(codes)  # ROTATIONS square matrices
     data = rows.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int")).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     queries = rows.where(F.col("id") % every == 0).withColumn("block", F.pmod(F.xxhash64("id", F.lit(1)), F.lit(blocks)).cast("int"))
     queries = queries.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
 
-    def answer(own: pd.DataFrame, asked: pd.DataFrame) -> Iterator[pd.DataFrame]:
+    def answer(own: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
         out = pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0)})
         if not len(own) or not len(asked):
             return out
         ids, x = own["id"].to_numpy(np.int64), np.stack(own["v"].to_numpy())
-        ids, order = np.unique(ids, return_index=True)
-        x = x[order]
         index = MultiIndex(shared.value.encode(x))
-        q_ids, order = np.unique(asked["id"].to_numpy(np.int64), return_index=True)
-        q = np.stack(asked["v"].to_numpy())[order]
+        q_ids, q = asked["id"].to_numpy(np.int64), np.stack(asked["v"].to_numpy())
         q_codes = shared.value.encode(q)
         got = []
         for i in range(len(q)):
@@ -160,16 +181,10 @@ def search(vectors: DataFrame, every: int = 20, k: int = 20, recall: float = 0.9
                 if len(near) >= k or r >= index.codes.shape[1] * SUBSTRING:
                     break
                 r += SUBSTRING
-            score = x[near] @ q[i]
-            best = np.lexsort((ids[near], -score))[:k]
-            got.append((np.full(len(best), q_ids[i]), ids[near[best]], score[best]))
+            best, score = best_of(ids[near], x[near], q[i], k)
+            got.append((np.full(len(best), q_ids[i]), ids[near[best]], score))
         return pd.DataFrame({c: np.concatenate([g[j] for g in got]) for j, c in enumerate(out.columns)})
 
     near = queries.groupBy("shard", "block").cogroup(data.groupBy("shard", "block")).applyInPandas(lambda a, b: answer(b, a), "query_id long, vec_id long, score double")
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    top = near.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id")
-    # The exact measure is summed in one fixed order.
-    pair = top.join(rows.select(F.col("id").alias("query_id"), F.col("v").alias("a")), "query_id").join(rows.select(F.col("id").alias("vec_id"), F.col("v").alias("b")), "vec_id")
-    dot = F.aggregate(F.zip_with("a", "b", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    exact = pair.select("query_id", "vec_id", dot.alias("score")).distinct()
-    return exact.select("query_id", F.row_number().over(best).alias("rank"), "vec_id", "score")
+    return near.select("query_id", F.row_number().over(best).alias("rank"), "vec_id", "score").where(F.col("rank") <= k)

@@ -35,6 +35,21 @@ def test_odd_vectors(spark):
     assert multi_index_hash.search(spark.createDataFrame([], schema)).count() == 0
 
 
+def test_ties_and_repeated_ids(spark):
+    """Copies of one vector beyond k, which go by id; ids with two vectors count once."""
+    rng = np.random.default_rng(2)
+    x = rng.standard_normal(6)
+    rows = [(i, x.tolist(), "x") for i in range(100)] + [(i, (x * 0.5).tolist(), "y") for i in range(100, 130)] + [(40, (x * 2).tolist(), "z"), (40, (x * 3).tolist(), "z")]
+    got = {}
+    for r in multi_index_hash.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>, rank string")).collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+    assert set(got) == set(range(0, 130, 20))
+    least = {i: v for i, v, _ in sorted(((i, v, s) for i, v, s in rows), reverse=True)}
+    for q, found in got.items():
+        want = sorted((-sum(a * b for a, b in zip(least[q], v, strict=True)), i) for i, v in least.items() if i != q)[:20]
+        assert [v for _, v, _ in sorted(found)] == [i for _, i in want] and [s for _, _, s in sorted(found)] == pytest.approx([-s for s, _ in want])
+
+
 def test_multi_index_finds_every_code_in_the_radius():
     rng = np.random.default_rng(1)
     codes = rng.integers(0, 1 << 16, (400, 4), dtype=np.uint16)
