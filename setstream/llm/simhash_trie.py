@@ -6,6 +6,8 @@ of those blocks' value; the bits that are left are a binary trie inside the buck
 are walked together, level by level: a frontier of node pairs carries its differing bits so far and loses every pair
 that is over the budget. Links are folded into a spanning forest before they leave the task, so that a
 group of n fingerprints emits n - 1 links at most, never all pairs.
+A bucket of more than ``HOT`` fingerprints is split by the same rule: its bits that don't name it are cut into ``radius + 1`` blocks,
+near fingerprints agree on one of these, and each fingerprint goes to one smaller bucket for each block.
 
 Edge cases: null and wordless texts have fingerprint zero and link like any other; texts with fewer words than a
 shingle count as one shingle; repeated rows share a fingerprint; a null doc_id takes no part in the smallest id (the group's id is null only
@@ -26,6 +28,8 @@ from pyspark.sql import types as T
 from .runtime import discard, materialise, partitions, restored, sheltered
 from .text import LOWER, NOT_BLANK, Words, chunks, raw
 
+#: Fingerprints of a bucket above which it is split.
+HOT = 1 << 14
 #: Frontier pairs that are walked at once.
 FRONTIER = 1 << 18
 #: Node pairs of no more fingerprint pairs than this are compared directly.
@@ -87,12 +91,6 @@ def fingerprints(docs: DataFrame, shingle: int = 4, keep: tuple[str, ...] = ("do
     return docs.select(*keep, text_col).mapInArrow(run, schema)
 
 
-def bit_blocks(blocks: int) -> list[tuple[int, int]]:
-    """64 bits cut into ``blocks`` runs of near equal width: (shift, width)."""
-    edges = [64 * i // blocks for i in range(blocks + 1)]
-    return [(a, b - a) for a, b in zip(edges, edges[1:], strict=False)]
-
-
 def choose_blocks(n: int, radius: int) -> int:
     """Blocks so that a bucket of random fingerprints holds a few thousand at most."""
     blocks = radius + 1
@@ -180,25 +178,60 @@ def walk_tries(bucket: np.ndarray, fp: np.ndarray, radius: int) -> tuple[np.ndar
     return linked, root[linked]
 
 
+def _masks(bits: list[int], radius: int, blocks: int) -> list[int]:
+    """For every choice of ``blocks - radius`` of ``blocks`` runs of ``bits`` a mask of the chosen runs."""
+    edges = [len(bits) * i // blocks for i in range(blocks + 1)]
+    runs = [sum(1 << b for b in bits[i:j]) for i, j in zip(edges, edges[1:], strict=False)]
+    return sorted({sum(pick) for pick in combinations(runs, blocks - radius)})
+
+
+def _signed(mask: int) -> int:
+    return mask - (1 << 64) if mask >> 63 else mask
+
+
+def _keyed(rows: DataFrame, masks: dict[int, list[int]] | list[int]) -> DataFrame:
+    """(mask, bucket, fp): rows once for each mask, all the same or by the mask they have now."""
+    if isinstance(masks, list):
+        choice = F.array(*[F.lit(_signed(m)).cast("long") for m in masks])
+    else:
+        choice = F.element_at(F.create_map(*[x for m, finer in masks.items() for x in (F.lit(_signed(m)).cast("long"), F.array(*[F.lit(_signed(f)).cast("long") for f in finer]))]), F.col("mask"))
+    return rows.select("fp", F.explode(choice).alias("mask")).select("mask", F.col("fp").bitwiseAND(F.col("mask")).alias("bucket"), "fp")
+
+
+def bucketed(distinct: DataFrame, radius: int, blocks: int) -> DataFrame:
+    """(mask, bucket, fp): any two fingerprints within ``radius`` bits share a bucket, and no bucket is hot unless its bits run out."""
+    masks = _masks(list(range(64)), radius, blocks)
+    keyed, out = _keyed(distinct, masks), None
+    while True:
+        hot = keyed.groupBy("mask", "bucket").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HOT).select("mask", "bucket")
+        hot = materialise(hot, "hot-buckets")
+        left = {m: [b for b in range(64) if not m >> b & 1] for m in masks}
+        finer = {m: [m | f for f in _masks(bits, radius, radius + 1)] for m, bits in left.items() if len(bits) > radius}
+        if not finer or hot.isEmpty():
+            return keyed if out is None else out.unionByName(keyed)
+        able = hot.where(F.col("mask").isin([_signed(m) for m in finer]))
+        calm = keyed.join(able, ["mask", "bucket"], "left_anti")
+        out = calm if out is None else out.unionByName(calm)
+        # Whole buckets only are split: a bucket's fingerprints go on together, under masks of their own.
+        keyed = _keyed(keyed.join(able, ["mask", "bucket"], "left_semi"), finer).distinct()
+        masks = sorted({f for fs in finer.values() for f in fs})
+
+
 def hamming_links(distinct: DataFrame, radius: int = 4, blocks: int | None = None) -> DataFrame:
     """(src, dst): links that connect exactly the distinct ``fp`` values within ``radius`` bits (a spanning forest of
     each bucket, so some links are replaced by a path of links)."""
     spark = distinct.sparkSession
-    blocks = blocks or choose_blocks(distinct.count(), radius)
-    runs = bit_blocks(blocks)
-    tables = [sum(((1 << w) - 1) << s for s, w in pick) for pick in combinations(runs, blocks - radius)]
-    masks = F.array(*[F.lit(m - (1 << 64) if m >> 63 else m).cast("long") for m in tables])
-    keyed = distinct.select("fp", F.posexplode(masks).alias("combo", "mask"))
-    keyed = keyed.select("combo", F.col("fp").bitwiseAND(F.col("mask")).alias("bucket"), "fp")
-    dealt = keyed.repartition(partitions(spark), "combo", "bucket").sortWithinPartitions("combo", "bucket", "fp")
+    keyed = bucketed(distinct, radius, blocks or choose_blocks(distinct.count(), radius))
+    dealt = keyed.repartition(partitions(spark), "mask", "bucket").sortWithinPartitions("mask", "bucket", "fp")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
 
-        def out(rows: np.ndarray):
+        def out(parts: list[np.ndarray]):
+            rows = np.concatenate(parts)
             # Signed order puts a bucket's set-top-bit half first: sort each bucket again as unsigned values.
-            key = np.concatenate([[0], np.cumsum((rows[1:, 0] != rows[:-1, 0]) | (rows[1:, 1] != rows[:-1, 1]))])
-            fp = rows[:, 2].view(np.uint64) if rows[:, 2].flags.c_contiguous else np.ascontiguousarray(rows[:, 2]).view(np.uint64)
+            key = np.concatenate([[0], np.cumsum((rows[1:, :2] != rows[:-1, :2]).any(1))])
+            fp = np.ascontiguousarray(rows[:, 2]).view(np.uint64)
             order = np.lexsort((fp, key))
             fp = fp[order]
             a, b = walk_tries(key, fp, radius)
@@ -208,17 +241,17 @@ def hamming_links(distinct: DataFrame, radius: int = 4, blocks: int | None = Non
         for batch in batches:
             if not batch.num_rows:
                 continue
-            held.append(np.column_stack([batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(3)]))
-            size += batch.num_rows
-            if size >= 1 << 20:  # whole buckets leave; the last may go on in the next batch
-                rows = np.concatenate(held)
-                same = (rows[:, 0] == rows[-1, 0]) & (rows[:, 1] == rows[-1, 1])
-                cut = int(np.argmax(same))
-                if cut:
-                    yield out(rows[:cut])
-                held, size = [rows[cut:]], len(rows) - cut
+            rows = np.column_stack([batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(3)])
+            turn = np.flatnonzero((rows[1:, :2] != rows[:-1, :2]).any(1)) + 1
+            whole = not held or (held[-1][-1, :2] != rows[0, :2]).any()
+            if size >= 1 << 18 and (whole or len(turn)):  # whole buckets leave; the last may go on in the next batch
+                cut = int(turn[-1]) if len(turn) else 0
+                yield out([*held, rows[:cut]])
+                held, size, rows = [], 0, rows[cut:]
+            held.append(rows)
+            size += len(rows)
         if size:
-            yield out(np.concatenate(held))
+            yield out(held)
 
     return dealt.mapInArrow(run, "src long, dst long").distinct()
 
@@ -239,7 +272,9 @@ def connect(links: DataFrame, rounds: int = 60) -> DataFrame:
             both = both.unionByName(pairs.select(F.col("b").alias("u"), F.col("a").alias("v")))
         else:
             both = both.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        # Written, so that both sides of the join are exchanges and a hub's links are split over tasks.
+        least = materialise(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "least")
+        made.append(least)
         joined = both.join(least, "u")
         if large:
             return joined.where(F.col("v") > F.col("u")).select(F.col("v").alias("a"), F.col("m").alias("b")).distinct()
@@ -247,12 +282,13 @@ def connect(links: DataFrame, rounds: int = 60) -> DataFrame:
         return hung.where("a <> b").distinct()
 
     pairs = materialise(links.where("src <> dst").select(F.col("src").alias("a"), F.col("dst").alias("b")).distinct(), "links")
-    seen = None
+    seen, made = None, []
     for _ in range(rounds):
         after = materialise(hang(hang(pairs, True), False), "links")
         row = after.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("s")).first()
-        discard(pairs)
-        pairs = after
+        for done in (pairs, *made):
+            discard(done)
+        pairs, made = after, []
         if (row["n"], row["s"]) == seen:
             break
         seen = (row["n"], row["s"])

@@ -177,6 +177,24 @@ def test_trie_links_equal_brute_force():
         assert (one.roots(np.arange(len(fp))) == two.roots(np.arange(len(fp)))).all() and len(a) < len(fp)
 
 
+def test_hot_buckets_are_split(spark, monkeypatch):
+    """Fingerprints that agree on most bits: the bucket is split, and no link is lost."""
+    rng = np.random.default_rng(4)
+    base = rng.integers(0, 1 << 62, 3)
+    made = np.unique([int(base[rng.integers(3)]) ^ sum(1 << int(b) for b in rng.choice(63, rng.integers(0, 6), replace=False)) for _ in range(700)])
+    distinct = spark.createDataFrame([(int(x),) for x in made], "fp long")
+    want = simhash_trie.Forest(len(made))
+    want.join(*np.where(np.bitwise_count(made[:, None] ^ made) <= 4))
+    for hot in (1 << 14, 60):
+        monkeypatch.setattr(simhash_trie, "HOT", hot)
+        sizes = simhash_trie.bucketed(distinct, 4, 5).groupBy("mask", "bucket").count().agg({"count": "max"}).first()[0]
+        assert sizes > 60 if hot > 60 else sizes < 200
+        links = simhash_trie.hamming_links(distinct, 4).collect()
+        got = simhash_trie.Forest(len(made))
+        got.join(np.searchsorted(made, [r["src"] for r in links]), np.searchsorted(made, [r["dst"] for r in links]))
+        assert (got.roots(np.arange(len(made))) == want.roots(np.arange(len(made)))).all()
+
+
 def test_blocks_grow_with_the_corpus():
     assert simhash_trie.choose_blocks(10**5, 4) == 5 and simhash_trie.choose_blocks(10**9, 4) > 5
 
