@@ -135,9 +135,9 @@ class Reserve(Sketch):
         self.lim[bare] = self.buffer[bare, -1]
         self.high = (self.lim >> 32).astype(np.int32)
 
-    def restore(self, buffer: list, lim: list) -> None:
-        """Take up a stored state."""
-        self.buffer[:], self.lim[:] = buffer, lim
+    def restore(self, buffer: np.ndarray, lim: np.ndarray) -> None:
+        """Take up a stored state; the set itself is taken up by ``held``."""
+        self.buffer[:], self.lim[:] = np.reshape(buffer, self.buffer.shape), lim
         self.high = (self.lim >> 32).astype(np.int32)
 
     def signature(self) -> np.ndarray:
@@ -343,7 +343,7 @@ def replay(updates: DataFrame, kind: str, family: HashFamily, reserve: int = 8,
     def walk(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(["seq", "element", "op"], kind="stable")
         sketch = kernel(kind, family, reserve, shape, **options)
-        first = rows["seq"].isna().to_numpy()
+        first = rows["before"].to_numpy(bool)
         if first.any():
             sketch.start(rows["element"].to_numpy(np.int64)[first])
         rest = rows[~first]
@@ -353,9 +353,9 @@ def replay(updates: DataFrame, kind: str, family: HashFamily, reserve: int = 8,
         sig = None if (sig == INF).all() else sig.tolist()
         return pd.DataFrame([{"set_id": rows["set_id"].iloc[0], "sig": sig, "size": len(sketch.held), "ops": len(rest), "faults": len(log), "reread": sum(x["size_after"] for x in log), "log": log}])
 
-    stream = updates.select("set_id", F.col("seq").cast("double").alias("seq"), "element", F.col("op").cast("int").alias("op"))
+    stream = updates.select("set_id", F.col("seq").cast("bigint").alias("seq"), F.lit(False).alias("before"), "element", F.col("op").cast("int").alias("op"))
     if start is not None:
-        before = start.select("set_id", F.lit(None).cast("double").alias("seq"), "element", F.lit(1).alias("op"))
+        before = start.select("set_id", F.lit(0).cast("bigint").alias("seq"), F.lit(True).alias("before"), "element", F.lit(1).alias("op"))
         stream = stream.unionByName(before)
     return stream.groupBy("set_id").applyInPandas(walk, RESULT)
 

@@ -26,7 +26,7 @@ def legalize(updates: DataFrame) -> DataFrame:
 
 
 def net(updates: DataFrame) -> DataFrame:
-    """The last update of each (set, element): what a batch amounts to. One aggregation with partial sums."""
+    """The last update of each (set, element): what a batch amounts to. One aggregation with partial sums. ``seq`` is at most 2^62 - 1 either way."""
     # Number and direction packed into one BIGINT: its maximum is a hash aggregate, a struct's would sort.
     last = F.max(F.col("seq") * 2 + F.when(F.col("op") == 1, 1).otherwise(0)).alias("l")
     found = updates.groupBy(*_PAIR).agg(last)
@@ -45,6 +45,19 @@ def sizes(updates: DataFrame) -> DataFrame:
     return legalize(updates).select("set_id", "seq", F.sum("op").over(w).cast("bigint").alias("size"))
 
 
+def numbered(rows: DataFrame, key: str, then: str, name: str = "seq", cells: int = 256) -> DataFrame:
+    """``rows`` with gapless numbers from 1 in the order of (``key``, ``then``), a BIGINT and unique together. Rows are cut into cells by equal
+    ranges of ``key``, each cell is ranked by itself and begins where those before it end: one row for each cell is summed in one place."""
+    ends = F.broadcast(rows.agg(F.min(key).alias("_least"), F.max(key).alias("_most")))  # one row
+    share = (F.col(key) - F.col("_least")) / (F.col("_most") - F.col("_least") + 1)
+    placed = rows.join(ends).withColumn("_cell", F.floor(share * cells).cast("int")).drop("_least", "_most")
+    counts = placed.groupBy("_cell").agg(F.count(F.lit(1)).alias("_n"))
+    before = F.sum("_n").over(Window.orderBy("_cell").rowsBetween(Window.unboundedPreceding, -1))
+    starts = F.broadcast(counts.select("_cell", F.coalesce(before, F.lit(0)).alias("_start")))  # at most ``cells`` rows
+    ranked = placed.withColumn("_rank", F.row_number().over(Window.partitionBy("_cell").orderBy(key, then)))
+    return ranked.join(starts, "_cell").withColumn(name, (F.col("_start") + F.col("_rank")).cast("bigint")).drop("_cell", "_rank", "_start")
+
+
 def edge_updates(edges: DataFrame) -> DataFrame:
     """(seq, u, v, op) on edges as updates of the neighbourhoods of both ends."""
     there = edges.select("seq", F.col("u").alias("set_id"), F.col("v").alias("element"), "op")

@@ -53,8 +53,17 @@ rank() OVER (ORDER BY n)::INT AS place, dense_rank() OVER (ORDER BY n)::INT AS s
     def size_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
         """Places of set sizes: one row a set, for choosing thresholds on collections of bounded number."""
         n = col.user_keys(spark, sf_dir).groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
-        w, tie = Window.orderBy("n"), Window.orderBy("n", "set_id")
-        return n.select("set_id", "n", F.round(F.percent_rank().over(w), 9).alias("share_below"), F.ntile(4).over(tie).alias("quarter"), F.rank().over(w).alias("place"), F.dense_rank().over(w).alias("step"))
+        # Places follow from the histogram of sizes, which is all that one task sees; ties are numbered size by size.
+        w = Window.orderBy("n")
+        below = F.coalesce(F.sum("sets").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+        counts = n.groupBy("n").agg(F.count(F.lit(1)).alias("sets")).select("n", below.alias("below"), F.row_number().over(w).alias("step"))
+        every = F.broadcast(n.agg(F.count(F.lit(1)).alias("m")))  # one row
+        at = F.col("below") + F.row_number().over(Window.partitionBy("n").orderBy("set_id")) - 1
+        whole, rest = F.floor(F.col("m") / 4), F.col("m") % 4
+        quarter = F.when(F.col("at") < rest * (whole + 1), F.floor(F.col("at") / (whole + 1))).otherwise(rest + F.floor((F.col("at") - rest * (whole + 1)) / F.greatest(whole, F.lit(1)))) + 1
+        placed = n.join(counts, "n").withColumn("at", at).join(every)
+        share = F.when(F.col("m") > 1, F.col("below") / (F.col("m") - 1)).otherwise(0.0)
+        return placed.select("set_id", "n", F.round(share, 9).alias("share_below"), quarter.cast("int").alias("quarter"), (F.col("below") + 1).cast("int").alias("place"), "step")
 
     @query("""SELECT c_custkey, o_orderkey, o_totalprice FROM customer, LATERAL (SELECT o_orderkey, o_totalprice FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)""")
     def lateral_top_orders(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -32,17 +32,12 @@ def _union(frames: list[DataFrame]) -> DataFrame:
 
 def numbered_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Edges of the thin graph as inserts, numbered in order of their ends (for streams that need an order)."""
-    seq = F.row_number().over(Window.orderBy("u", "v")).cast("bigint")
-    return col.thin_edges(spark, sf_dir).select(seq.alias("seq"), "u", "v", F.lit(1).alias("op"))
+    return streams.numbered(col.thin_edges(spark, sf_dir), "u", "v").select("seq", "u", "v", F.lit(1).alias("op"))
 
 
 def numbered_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Edges of the whole graph, numbered likewise; only the left ends' degrees are summed in one task."""
-    every = col.edges(spark, sf_dir)
-    before = F.sum("n").over(Window.orderBy("u").rowsBetween(Window.unboundedPreceding, -1))
-    first = every.groupBy("u").agg(F.count(F.lit(1)).alias("n")).select("u", F.coalesce(before, F.lit(0)).alias("first"))
-    seq = (F.col("first") + F.row_number().over(Window.partitionBy("u").orderBy("v"))).cast("bigint")
-    return every.join(first, "u").select(seq.alias("seq"), "u", "v", F.lit(1).alias("op"))
+    """Edges of the whole graph, numbered likewise."""
+    return streams.numbered(col.edges(spark, sf_dir), "u", "v").select("seq", "u", "v", F.lit(1).alias("op"))
 
 
 def fault_grid(updates: DataFrame, ks: list[int], reserves: list[int], kind: str = "reserve") -> DataFrame:

@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-import json
-
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,63 +12,84 @@ from ..operators.bins import BinShape
 from ..operators.replay import kernel
 from ..operators.reserve import reserve_apply, reserve_signature
 from ..operators.streams import split_valid
+from ..schemas import FAULTS
 from ..sources.recovery import RecoverySource
 from ..sources.store import SketchStore
 
 
 def maintain(stream: DataFrame, store: SketchStore, recover: RecoverySource, family: HashFamily, reserve: int, checkpoint: str, quarantine: str | None = None):
     """Start the main path: each micro-batch is netted and applied, faulty sets are read from ``recover`` as of the batch, and
-    the touched buckets are committed under the batch id, so that a batch which runs again changes nothing."""
+    the touched buckets are committed under the batch id, so that a batch which runs again changes nothing.
+
+    Rows that are no updates, and late ones (their pair has a later update from an earlier batch, if ``recover`` knows), are set aside in
+    ``quarantine`` and don't change a sketch: membership is decided by the last update of a pair, whenever it comes."""
 
     def step(batch: DataFrame, batch_id: int) -> None:
         if store.committed(batch_id):
             return
         good, bad = split_valid(batch)
+        good = good.persist()
+        late = recover.late(good)
+        if late is not None:
+            late = late.persist()
+            bad = bad.unionByName(late, allowMissingColumns=True)
+            # Older updates of a late pair in this batch are late as well.
+            stale = late.select("set_id", "element")
+            good = good.join(stale, ["set_id", "element"], "left_anti").persist()
         if quarantine and not bad.isEmpty():
-            bad.write.mode("append").parquet(quarantine)
+            bad.write.mode("overwrite").parquet(f"{quarantine}/batch={batch_id}")
         if good.isEmpty():
             store.commit(None, None, batch_id)
-            return
-        good = good.persist()
-        recover.advance(good, batch_id)
-        old = store.read_touched(good)
-        new, faults = reserve_apply(old, good, recover.members(), family, reserve)
-        store.commit(new, faults, batch_id)
-        good.unpersist()
+        else:
+            recover.advance(good, batch_id)
+            old = store.read_touched(good)
+            new, faults = reserve_apply(old, good, recover.members(), family, reserve)
+            store.commit(new, faults, batch_id)
+        for held in (good, late):
+            if held is not None:
+                held.unpersist()
 
     return stream.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).start()
 
 
-def maintain_stateful(stream: DataFrame, family: HashFamily, reserve: int, kind: str = "reserve") -> DataFrame:
-    """(set_id, sig, size, faults) after each batch, by exact sequential maintenance in arrival order within each set's state.
+STATE = "element array<bigint>, seq array<bigint>, op array<int>, buffer array<bigint>, lim array<bigint>, faults bigint"
+
+
+def maintain_stateful(stream: DataFrame, family: HashFamily, reserve: int, mode: str = "update") -> DataFrame:
+    """Exact sequential maintenance in arrival order within each set's state; for sets that fit a state row.
 
-    The state holds the set's members (the recovery source) and the sketch's rows, pickled to JSON text; it is meant for sets that fit a
-    state row. Output mode: update.
+    In 'update' mode (set_id, sig, size, faults) after each batch; in 'append' mode the fault log (set_id, seq, slot, size_after). The state holds each
+    element's last update (the recovery source, deletions too) and the sketch's rows as arrays, which are taken up as they are: only the batch's
+    elements are hashed. A late row, older than its element's last update, changes nothing.
     """
     from pyspark.sql.streaming.state import GroupStateTimeout
 
     def walk(key, frames, state):
-        sketch = kernel(kind, family, reserve)
-        faults = 0
+        sketch, faults, last = kernel("reserve", family, reserve), 0, {}
         if state.exists:
-            held, faults = json.loads(state.get[0]), state.get[1]
-            sketch.start(pd.Series(held["members"], dtype="int64").to_numpy())
-            if "buffer" in held:
-                sketch.restore(held["buffer"], held["lim"])
+            element, seq, op, buffer, lim, faults = state.get
+            last = dict(zip(element, zip(seq, op, strict=True), strict=True))
+            sketch.held = {x for x, (_, o) in last.items() if o > 0}
+            sketch.restore(np.array(buffer, np.int64), np.array(lim, np.int64))
         for rows in frames:
             rows = rows.sort_values(["seq", "element", "op"], kind="stable")
-            sketch.run(rows["seq"].to_numpy("int64"), rows["element"].to_numpy("int64"), rows["op"].to_numpy())
+            seq, element, op = (rows[c].to_numpy("int64") for c in ("seq", "element", "op"))
+            keep = []
+            for i, x in enumerate(element.tolist()):
+                if x not in last or last[x][0] <= seq[i]:
+                    last[x] = int(seq[i]), int(op[i])
+                    keep.append(i)
+            sketch.run(seq[keep], element[keep], op[keep])
         faults += len(sketch.log)
-        held = {"members": sorted(sketch.held)}
-        if hasattr(sketch, "buffer"):
-            held |= {"buffer": sketch.buffer.tolist(), "lim": sketch.lim.tolist()}
-        state.update((json.dumps(held), faults))
-        sig = sketch.signature().tolist() if sketch.held else None
-        yield pd.DataFrame([{"set_id": key[0], "sig": sig, "size": len(sketch.held), "faults": faults}])
-
-    return stream.groupBy("set_id").applyInPandasWithState(
-        walk, "set_id bigint, sig array<bigint>, size bigint, faults bigint", "sketch string, faults bigint", "update", GroupStateTimeout.NoTimeout
-    )
+        state.update(([*last], [s for s, _ in last.values()], [o for _, o in last.values()], sketch.buffer.ravel().tolist(), sketch.lim.tolist(), faults))
+        if mode == "append":
+            yield pd.DataFrame([(key[0], *x) for x in sketch.log], columns=["set_id", "seq", "slot", "size_after"])
+        else:
+            sig = sketch.signature().tolist() if sketch.held else None
+            yield pd.DataFrame([{"set_id": key[0], "sig": sig, "size": len(sketch.held), "faults": faults}])
+
+    out = FAULTS if mode == "append" else "set_id bigint, sig array<bigint>, size bigint, faults bigint"
+    return stream.groupBy("set_id").applyInPandasWithState(walk, out, STATE, mode, GroupStateTimeout.NoTimeout)
 
 
 def stream_bins(stream: DataFrame, shape: BinShape) -> DataFrame:
