@@ -88,6 +88,15 @@ def bins_signature(bins: DataFrame, family: HashFamily, shape: BinShape) -> Data
     return signatures(bins_level(bins, levels), family)
 
 
+def bins_level_signatures(bins: DataFrame, family: HashFamily, shape: BinShape) -> DataFrame:
+    """(set_id, level, sig) at each set's own level and both beside it, so that similar sets on two sides of a level's bound meet at one."""
+    own = bins_sizes(bins).select("set_id", shape.level_for(F.col("n")).alias("own"))
+    near = own.select("set_id", F.explode(F.array_distinct(F.transform(F.sequence(F.col("own") - 1, F.col("own") + 1), lambda x: F.least(F.greatest(x, F.lit(0)), F.lit(shape.levels - 1))))).alias("level"))
+    taken = bins.join(near, ["set_id", "level"]).select((F.col("set_id") * shape.levels + F.col("level")).alias("set_id"), F.col("bin").cast("bigint").alias("element"))
+    sigs = signatures(taken, family)
+    return sigs.select(F.floor(F.col("set_id") / shape.levels).cast("bigint").alias("set_id"), F.pmod("set_id", F.lit(shape.levels)).cast("int").alias("level"), "sig")
+
+
 def bins_similarity(bins: DataFrame, pairs: DataFrame, shape: BinShape, family: HashFamily | None = None) -> DataFrame:
     """(a, b, est) on the level of each pair's larger set: by signatures, or exactly over the bins without ``family``."""
     n = bins_sizes(bins)

@@ -37,12 +37,18 @@ def choose_bands(r1: float, p1: float = 0.8, budget: int = 2100, r2: float | Non
     return best[1]
 
 
+#: Sets of a bucket above which its join is split over tasks.
+MAX_BUCKET = 10_000
+
+
 def band_keys(sigs: DataFrame, bands: int, rows: int, text: bool = False) -> DataFrame:
-    """(set_id, band, key): one row for each band. ``text`` gives keys that SQL can make; otherwise 64-bit hashes, whose rare
+    """(set_id, band, key): one row for each band. If signatures have a ``level``, only those of equal levels have equal keys. ``text`` gives keys that SQL can make; otherwise 64-bit hashes, whose rare
     collisions only add candidates."""
 
     def key(i: int) -> Column:
         part = F.slice("sig", i * rows + 1, rows)
+        if "level" in sigs.columns:
+            return F.xxhash64(F.lit(i), "level", part)
         return F.array_join(part.cast("array<string>"), "-") if text else F.xxhash64(F.lit(i), part)
 
     keys = F.array(*[key(i) for i in range(bands)])
@@ -67,11 +73,12 @@ def expand_pairs(pairs: DataFrame, membership: DataFrame) -> DataFrame:
     return across.union(within).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
-def candidate_pairs(sigs: DataFrame, bands: int, rows: int, max_bucket: int | None = None, hot: str = "salt", text: bool = False) -> DataFrame:
+def candidate_pairs(sigs: DataFrame, bands: int, rows: int, max_bucket: int | None = MAX_BUCKET, hot: str = "salt", text: bool = False) -> DataFrame:
     """(a, b), a < b: sets that agree on a whole band.
 
     Buckets over ``max_bucket`` sets: 'salt' splits their join over tasks and keeps every pair; 'star' links every set of the
-    bucket to its least one only (a later verification or component step reaches the others); 'drop' leaves the bucket out.
+    bucket to its least one only (a later verification or component step reaches the others); 'drop' leaves the bucket out. Without a bound no
+    bucket is split.
     """
     keys = band_keys(sigs, bands, rows, text)
 

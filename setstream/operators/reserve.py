@@ -28,11 +28,16 @@ def _slot(pairs: Column, lim: Column) -> Column:
     return F.struct(pairs.alias("pairs"), lim.alias("lim"))
 
 
-#: Slots up to which sketches are built and updated by column expressions; above, by numpy kernels over Arrow batches.
-COLUMN_SLOTS = 64
+#: Slots up to which sketches are built and updated by column expressions (of dearer hashes a quarter); above, by numpy kernels over
+#: Arrow batches: an expression for each slot takes longer to plan than to run.
+COLUMN_SLOTS = 16
 INF = np.int64(INFINITE)
 
 
+def _by_columns(family: HashFamily) -> bool:
+    return family.k <= (COLUMN_SLOTS if family.kind in ("affine", "native") else COLUMN_SLOTS // 4)
+
+
 def _flat(slots: Column, reserve: int) -> Column:
     """All pairs of all slots in one array, each slot padded to the reserve with the infinite pair."""
     pad = F.lit(INFINITE).cast("bigint")
@@ -155,7 +160,7 @@ def reserve_init(members: DataFrame, family: HashFamily, reserve: int, sampled:
     sets that fall short of a slot's pairs are built again in full, so the result is the same. ``keep_elements=False`` gives the
     hash-only form for legal streams.
     """
-    if family.k > COLUMN_SLOTS and keep_elements:
+    if not _by_columns(family) and keep_elements:
         return _kernel_init(members, family, reserve)
     if sampled:
         n = members.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
@@ -237,7 +242,7 @@ def reserve_apply(sketch: DataFrame, updates: DataFrame, members_after: DataFram
         both = F.slice(F.array_sort(F.array_union(F.array_except(s["pairs"], gone), come)), 1, reserve)
         return _slot(both, F.when(F.size(both) >= reserve, F.element_at(both, -1)).otherwise(s["lim"]))
 
-    if family.k > COLUMN_SLOTS:
+    if not _by_columns(family):
         after = _kernel_apply(joined.select("set_id", "seq", "slots", put.alias("put"), out.alias("out"), F.size(out).alias("n_out")), family, reserve)
     else:
         after = joined.select("set_id", "seq", F.when(F.col("seq").isNull(), F.col("slots")).otherwise(F.array(*[updated(i) for i in range(family.k)])).alias("slots"), F.size(out).alias("n_out"))
@@ -263,6 +268,18 @@ def reserve_apply(sketch: DataFrame, updates: DataFrame, members_after: DataFram
     return healthy.unionByName(broken.select("set_id", mixed.alias("slots"))), log
 
 
+def maintained(members: DataFrame, family: HashFamily, reserve: int, seed: int = 1) -> tuple[DataFrame, DataFrame]:
+    """(sketch, faults) of the sets as an update stream leaves them: begun with about half of their elements and a quarter as many others, then the rest
+    are inserted and the others deleted. For experiments: nothing in it is built from the final sets but what faults read."""
+    others = members.select("set_id", F.pmod(F.xxhash64("element", F.lit(seed)), F.lit(0xFFFFFFFE)).alias("element")).where(F.pmod(F.xxhash64("element", F.lit(seed + 1)), F.lit(4)) == 0)
+    others = others.distinct().join(members, ["set_id", "element"], "left_anti")
+    early = F.pmod(F.xxhash64("element", F.lit(seed + 2)), F.lit(2)) == 0
+    before = reserve_init(members.where(early).unionByName(others), family, reserve)
+    put = members.where(~early).withColumn("op", F.lit(1))
+    updates = put.unionByName(others.withColumn("op", F.lit(-1))).withColumn("seq", F.lit(1).cast("bigint"))
+    return reserve_apply(before, updates, members, family, reserve)
+
+
 def audit(sketch: DataFrame, members: DataFrame, family: HashFamily, reserve: int) -> DataFrame:
     """(set_id, slot, rule, bad): broken invariants; none for a right sketch."""
     slots = sketch.select("set_id", F.posexplode("slots").alias("slot", "s")).select("set_id", "slot", "s.pairs", "s.lim")

@@ -95,10 +95,13 @@ def jaccard(shared: Column, n_a: Column, n_b: Column) -> Column:
 
 def exact_similarity(members: DataFrame, pairs: DataFrame) -> DataFrame:
     """(a, b, exact) for the given id pairs; ids without members are empty sets."""
+    pairs = pairs.select("a", "b").distinct()
+    # Sets in no pair are left out before anything is joined.
+    asked = pairs.select(F.explode(F.array("a", "b")).alias("set_id")).distinct()
+    members = members.join(asked, "set_id", "left_semi")
     n = members.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
     mine = members.select(F.col("set_id").alias("a"), "element")
     theirs = members.select(F.col("set_id").alias("b"), "element")
-    pairs = pairs.select("a", "b").distinct()
     shared = pairs.join(mine, "a").join(theirs, ["b", "element"]).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
     sized = pairs.join(n.select(F.col("set_id").alias("a"), F.col("n").alias("n_a")), "a", "left").join(n.select(F.col("set_id").alias("b"), F.col("n").alias("n_b")), "b", "left")
     zero = F.lit(0).cast("bigint")

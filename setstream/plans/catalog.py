@@ -18,6 +18,7 @@ from ..operators import similarity as S
 from ..operators.replay import fault_log, replay
 from ..schemas import INFINITE
 from ..sources import collections as col
+from ..sources.store import written
 from ..streaming.live import window_signatures
 from . import relational
 from . import workloads as W
@@ -195,7 +196,7 @@ def exact_pairs_part_suppliers(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(_exact_sql(SHINGLES, 0.5))
 def exact_pairs_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.exact_pairs(col.doc_shingles(spark, sf_dir), 0.5, prefix=True)
+    return S.exact_pairs(written(col.doc_shingles(spark, sf_dir), "shingles"), 0.5, prefix=True)
 
 
 @query(f"""WITH s AS ({_array_sig_sql(USERS, AFFINE)}), e AS (SELECT a, b, {_agree_sql("x", "y", AFFINE.k)} AS est FROM ({_PAIRS_OF.format(c="sig")})),
@@ -239,28 +240,34 @@ def reserve_sampled_init(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _signature_rows(R.reserve_signature(R.reserve_init(col.supplier_parts(spark, sf_dir), FEW, RESERVE, sampled=True)))
 
 
-def _netted(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _netted(spark: SparkSession, sf_dir: str, reserve: int = RESERVE) -> tuple[DataFrame, DataFrame, DataFrame]:
     updates = col.event_updates(spark, sf_dir)
     split = F.broadcast(updates.agg((F.max("seq") * HALF).alias("split")))  # one row
     marked = updates.join(split)
     first, second = marked.where("seq < split").drop("split"), marked.where("seq >= split").drop("split")
     members = streams.members_at(updates)
-    before = R.reserve_init(streams.members_at(first), FEW, RESERVE)
-    return *R.reserve_apply(before, second, members, FEW, RESERVE), members
+    before = R.reserve_init(streams.members_at(first), FEW, reserve)
+    return *R.reserve_apply(before, second, members, FEW, reserve), members
 
 
-_NETTED = f"""u AS ({UPDATES}), h AS (SELECT max(seq) * {HALF} AS split FROM u),
+def _netted_sql(reserve: int) -> str:
+    return f"""u AS ({UPDATES}), h AS (SELECT max(seq) * {HALF} AS split FROM u),
 m0 AS (SELECT set_id, element FROM (SELECT set_id, element, arg_max(op, seq) AS op FROM u, h WHERE seq < split GROUP BY 1, 2) WHERE op = 1),
 m1 AS (SELECT set_id, element FROM (SELECT set_id, element, arg_max(op, seq) AS op FROM u GROUP BY 1, 2) WHERE op = 1),
 o AS (SELECT set_id, element, arg_max(op, seq) AS op FROM u, h WHERE seq >= split GROUP BY 1, 2),
-i0 AS ({_RANKED.format(long=_long_sql("SELECT * FROM m0", FEW), l=RESERVE)}),
-l0 AS (SELECT set_id, slot, CASE WHEN count(*) >= {RESERVE} THEN max(pair) ELSE {INFINITE} END AS lim FROM i0 GROUP BY 1, 2),
+i0 AS ({_RANKED.format(long=_long_sql("SELECT * FROM m0", FEW), l=reserve)}),
+l0 AS (SELECT set_id, slot, CASE WHEN count(*) >= {reserve} THEN max(pair) ELSE {INFINITE} END AS lim FROM i0 GROUP BY 1, 2),
 put AS ({_long_sql("SELECT * FROM o WHERE op = 1", FEW)}), gone AS ({_long_sql("SELECT * FROM o WHERE op = -1", FEW)}),
 both_ AS (SELECT * FROM (SELECT * FROM i0 EXCEPT SELECT * FROM gone) UNION SELECT p.* FROM put p LEFT JOIN l0 USING (set_id, slot) WHERE p.pair <= coalesce(lim, {INFINITE})),
-i1 AS ({_RANKED.format(long="SELECT * FROM both_", l=RESERVE)}),
+i1 AS ({_RANKED.format(long="SELECT * FROM both_", l=reserve)}),
 c1 AS (SELECT set_id, slot, count(*) AS size, max(pair) AS top, min(pair) AS pair FROM i1 GROUP BY 1, 2),
 bare AS (SELECT l0.set_id, min(slot) AS slot FROM l0 ANTI JOIN c1 USING (set_id, slot) WHERE lim < {INFINITE} AND set_id IN (SELECT set_id FROM o) GROUP BY 1),
-again AS ({_RANKED.format(long=_long_sql("SELECT m1.* FROM m1 JOIN bare USING (set_id)", FEW), l=RESERVE)})"""
+again AS ({_RANKED.format(long=_long_sql("SELECT m1.* FROM m1 JOIN bare USING (set_id)", FEW), l=reserve)})"""
+
+
+_NETTED = _netted_sql(RESERVE)
+#: A reserve so small that batches do fault.
+SMALL_RESERVE = 1
 
 
 @query(f"""WITH {_NETTED}
@@ -272,9 +279,9 @@ def reserve_netted_step(spark: SparkSession, sf_dir: str) -> DataFrame:
     return slots.select("set_id", "slot", F.size("s.pairs").cast("bigint").alias("size"), F.element_at("s.pairs", 1).alias("pair"), F.col("s.lim").alias("lim"))
 
 
-@query(f"WITH {_NETTED} SELECT set_id, slot::INT AS slot, (SELECT count(*) FROM m1 WHERE m1.set_id = bare.set_id) AS size_after FROM bare")
+@query(f"WITH {_netted_sql(SMALL_RESERVE)} SELECT set_id, slot::INT AS slot, (SELECT count(*) FROM m1 WHERE m1.set_id = bare.set_id) AS size_after FROM bare")
 def reserve_netted_faults(spark: SparkSession, sf_dir: str) -> DataFrame:
-    _, faults, _ = _netted(spark, sf_dir)
+    _, faults, _ = _netted(spark, sf_dir, SMALL_RESERVE)
     return faults.select("set_id", "slot", "size_after")
 
 
@@ -443,19 +450,24 @@ _KEYS = f"""SELECT set_id, band, array_to_string(sig[band * {ROWS} + 1:band * {R
 _CANDIDATES = f"SELECT DISTINCT x.set_id AS a, y.set_id AS b FROM k x JOIN k y ON x.band = y.band AND x.key = y.key AND x.set_id < y.set_id"
 
 
+def _doc_signatures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Signatures that are read more than once: texts are shingled a single time."""
+    return written(S.signatures(col.doc_shingles(spark, sf_dir), DOCS), "signatures")
+
+
 @query(f"WITH k AS ({_KEYS}) {_CANDIDATES}")
 def candidate_pairs_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return C.candidate_pairs(S.signatures(col.doc_shingles(spark, sf_dir), DOCS), BANDS, ROWS, text=True)
+    return C.candidate_pairs(_doc_signatures(spark, sf_dir), BANDS, ROWS, text=True)
 
 
 @query(f"WITH k AS ({_KEYS}) {_CANDIDATES}")
 def candidate_pairs_salted(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return C.candidate_pairs(S.signatures(col.doc_shingles(spark, sf_dir), DOCS), BANDS, ROWS, max_bucket=3, hot="salt")
+    return C.candidate_pairs(_doc_signatures(spark, sf_dir), BANDS, ROWS, max_bucket=3, hot="salt")
 
 
 @query(f"WITH k AS ({_KEYS}) {_CANDIDATES}")
 def candidate_pairs_collapsed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    sigs = S.signatures(col.doc_shingles(spark, sf_dir), DOCS)
+    sigs = _doc_signatures(spark, sf_dir)
     kept, membership = C.collapse_identical(sigs)
     return C.expand_pairs(C.candidate_pairs(kept, BANDS, ROWS), membership)
 
@@ -468,35 +480,35 @@ round(2 * tp / nullif(2 * tp + fp + fn, 0)::DOUBLE, 9) AS f1, tp + fn AS effecti
 
 @query(_QUALITY)
 def candidate_quality_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    members = col.doc_shingles(spark, sf_dir)
-    sigs = S.signatures(members, DOCS)
+    members = written(col.doc_shingles(spark, sf_dir), "shingles")
+    sigs = written(S.signatures(members, DOCS), "signatures")
     return C.quality(C.candidate_pairs(sigs, BANDS, ROWS), S.exact_pairs(members, LAM), sigs.count())
 
 
 @query(f"""WITH s AS ({_array_sig_sql(SHINGLES, DOCS)}), k AS ({_KEYS}), c AS ({_CANDIDATES})
 SELECT a, b, {_agree_sql("x.sig", "y.sig", DOCS.k)} AS est FROM c JOIN s x ON a = x.set_id JOIN s y ON b = y.set_id WHERE {_agree_sql("x.sig", "y.sig", DOCS.k)} >= {LAM}""")
 def verify_pairs_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    sigs = S.signatures(col.doc_shingles(spark, sf_dir), DOCS)
+    sigs = _doc_signatures(spark, sf_dir)
     return C.verify_pairs(C.candidate_pairs(sigs, BANDS, ROWS), sigs, LAM)
 
 
 @query(f"WITH k AS ({_KEYS}), c AS ({_CANDIDATES}) SELECT e.* FROM ({_exact_sql(SHINGLES, LAM)}) e SEMI JOIN c ON e.a = c.a AND e.b = c.b")
 def verify_exact_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    members = col.doc_shingles(spark, sf_dir)
-    return C.verify_exact(C.candidate_pairs(S.signatures(members, DOCS), BANDS, ROWS), members, LAM)
+    members = written(col.doc_shingles(spark, sf_dir), "shingles")
+    return C.verify_exact(C.candidate_pairs(written(S.signatures(members, DOCS), "signatures"), BANDS, ROWS), members, LAM)
 
 
 _BENCH = col.COLLECTIONS_SQL["benchmark_shingles"]
 
 
 @query(f"""WITH d AS ({_array_sig_sql(SHINGLES, DOCS)}), q AS (SELECT -1 - set_id AS set_id, sig FROM ({_array_sig_sql(_BENCH, DOCS)})),
-g AS (SELECT unnest(range({BANDS})) AS band)
+g AS (SELECT unnest(range({DOCS.k})) AS band)
 SELECT DISTINCT q.set_id AS query_id, d.set_id, {_agree_sql("q.sig", "d.sig", DOCS.k)} AS est FROM d, q, g
-WHERE d.sig[band * {ROWS} + 1:band * {ROWS} + {ROWS}] = q.sig[band * {ROWS} + 1:band * {ROWS} + {ROWS}]""")
+WHERE d.sig[band + 1] = q.sig[band + 1]""")
 def search_benchmark_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents that meet a benchmark item in a bucket; items have negative ids."""
+    """Documents that meet a benchmark item in one value of their signatures; items have negative ids."""
     items = S.signatures(col.benchmark_shingles(spark, sf_dir), DOCS).select((F.lit(-1).cast("bigint") - F.col("set_id")).alias("set_id"), "sig")
-    return C.similar_to(S.signatures(col.doc_shingles(spark, sf_dir), DOCS), items, BANDS, ROWS, 0.0)
+    return C.similar_to(_doc_signatures(spark, sf_dir), items, DOCS.k, 1, 0.0)
 
 
 @query(f"""WITH s AS ({_array_sig_sql(USERS, AFFINE)}), e AS (SELECT a, b, {_agree_sql("x", "y", AFFINE.k)} AS est FROM ({_PAIRS_OF.format(c="sig")})),
@@ -583,7 +595,7 @@ e AS (SELECT a, b, {_agree_sql("x.sig", "y.sig", DOCS.k)} AS est FROM c JOIN s x
 SELECT quality, toxic, count(*) AS pairs, round(avg(est), 9) AS mean_est FROM e JOIN labels ON a = doc_id GROUP BY 1, 2""")
 def pairs_by_label(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Candidate pairs sliced by the labels of their first document."""
-    sigs = S.signatures(col.doc_shingles(spark, sf_dir), DOCS)
+    sigs = _doc_signatures(spark, sf_dir)
     est = S.estimate_similarity(sigs, C.candidate_pairs(sigs, BANDS, ROWS))
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     return est.join(labels, F.col("a") == F.col("doc_id")).groupBy("quality", "toxic").agg(F.count(F.lit(1)).alias("pairs"), F.round(F.avg("est"), 9).alias("mean_est"))
@@ -595,9 +607,13 @@ relational.register(query)
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(a, b, est): reserve sketches kept over the whole update stream, then the pairs their signatures make candidates."""
-    family = HashFamily.affine(32, seed=3)
-    kept = replay(col.event_updates(spark, sf_dir), "reserve", family, R.choose_reserve(8)).select("set_id", "sig").where("sig is not null")
-    return C.verify_pairs(C.candidate_pairs(kept, 16, 2), kept, 0.3)
+    family, reserve = HashFamily.affine(72, seed=3), R.choose_reserve(8)
+    updates = col.event_updates(spark, sf_dir)
+    marked = updates.join(F.broadcast(updates.agg((F.max("seq") * HALF).alias("split"))))  # one row
+    before = R.reserve_init(streams.members_at(marked.where("seq < split")), family, reserve)
+    sketch, _ = R.reserve_apply(before, marked.where("seq >= split").drop("split"), streams.members_at(updates), family, reserve)
+    kept = written(R.reserve_signature(sketch).where("sig is not null"), "signatures")
+    return C.verify_pairs(C.candidate_pairs(kept, 36, 2), kept, 0.3)
 
 
 query()(flagship)
