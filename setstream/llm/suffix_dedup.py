@@ -35,6 +35,8 @@ from .text import NOT_BLANK, Words, chunks, raw, rolling
 LONG_WORD = 48
 #: Rows of one run of leading words that one task may sort; those of a more frequent run are aggregated.
 HOT = 256
+#: Repeated windows of hot runs that are broadcast; more are joined by shuffle, which can be split.
+BROADCAST_WINDOWS = 200_000
 #: Suffixes that are sorted at once (whole runs of equal leading words; a run has ``HOT`` at most).
 SORTED = 1 << 15
 NONE = np.iinfo(np.int64).max
@@ -272,7 +274,8 @@ def _located(docs: DataFrame, length: int, gram: int) -> DataFrame:
     grouped = pieces.where("window is not null")
     shared = grouped.groupBy("window").agg(F.min("digest").alias("a"), F.max("digest").alias("b"), F.min("first_doc").alias("least")).where("a <> b")
     again = materialise(shared.select("window", "least"), "repeated")
-    hits = grouped.join(again, "window").select("digest", F.col("at").alias("start"), F.col("at").alias("last"), "least")
+    few = again.limit(BROADCAST_WINDOWS + 1).count() <= BROADCAST_WINDOWS
+    hits = grouped.join(F.broadcast(again) if few else again, "window").select("digest", F.col("at").alias("start"), F.col("at").alias("last"), "least")
     found = materialise(runs.unionByName(hits), "runs")
     spans = materialise(_merged(found.groupBy("digest").agg(F.array_sort(F.collect_list(F.struct("start", "last", "least"))).alias("hits")), length), "spans")
     for done in (pieces, again, found, kept, grams):
