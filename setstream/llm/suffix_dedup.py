@@ -264,7 +264,7 @@ def _located(docs: DataFrame, length: int, gram: int) -> DataFrame:
     spread = rows.groupBy("gram").agg(F.min("digest").alias("a"), F.max("digest").alias("b"), (F.count(F.lit(1)) > HOT).alias("hot")).where("a <> b")
     grams = materialise(spread.select("gram", "hot"), "grams")
     # Both sides of the join are exchanges, so that a gram with many places is split over tasks.
-    kept = rows.join(grams, "gram").groupBy("digest").agg(F.array_distinct(F.collect_list(F.struct("at", "hot"))).alias("anchors"))
+    kept = rows.join(grams, "gram").groupBy("digest").agg(F.collect_set(F.struct("at", "hot")).alias("anchors"))
     kept = materialise(kept.join(texts, "digest").select("digest", "first_doc", "anchors"), "kept-anchors")
     # The text goes to its anchors once; one document stands for all copies.
     mine = docs.join(kept.hint("shuffle_hash"), "digest").where(F.col("doc_id").eqNullSafe(F.col("first_doc")))
