@@ -6,8 +6,8 @@ shorter prefixes when it isn't and steps back when none is left; end positions t
 tried again, which keeps the walk linear. All matches come from one automaton over bytes read as Latin-1 characters.
 
 Edge cases: null and empty texts have no tokens (and decode to the empty text); very long texts and pieces are walked in
-linear time; special tokens are ordinary text; extra columns pass through unless named like an output; an empty table
-gives an empty result.
+linear time; special tokens are ordinary text; repeated rows each get a row; a null doc_id is only carried along; extra columns pass
+through unless named like an output; an empty table gives an empty result.
 """
 
 from __future__ import annotations

@@ -35,7 +35,7 @@ def training_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int =
     got = sorted(once.collect(), key=lambda r: hash_order(r["doc_id"]))
     out_texts, out_labels, used = [], [], 0
     for r in got:
-        used += len(r["text"])
+        used += len(r["text"].encode())
         if out_texts and used > size:
             break
         out_texts.append(r["text"])
