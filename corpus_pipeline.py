@@ -54,7 +54,7 @@ STAGES = [
     ("byte_bpe", encode),
 ]
 
-#: The classifier's weights can't be expressed in SQL; the tests hold each stage against brute force.
+#: The classifier's weights can't be expressed in SQL; the tests hold the other stages' operators against brute force, the classifier against held-out labels.
 ORACLE_SQL = None
 
 
