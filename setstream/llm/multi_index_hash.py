@@ -8,7 +8,8 @@ values that near finds every code within r. What is found within r is reranked b
 Rotations and radius are fitted on a bounded sample of rows (``SAMPLE``); the radius is one at which the sample's own
 queries find ``recall`` of their true neighbours. Every row is indexed. Rows are dealt to shards of at most about
 ``SHARD_ROWS`` rows and queries to blocks of ``QUERY_BLOCK``, so a vector is sent once for every block of queries and a query once for
-every shard; a query keeps its ``k`` best of each shard. A query that
+every shard; a query keeps its ``k`` best of each shard. A query costs a shard's probes however few its rows are, so shards are not made smaller to
+occupy idle tasks: blocks of queries are. A query that
 finds fewer than ``k`` rows within the radius widens it in that shard until it has ``k`` or all rows.
 Scores that decide are summed in one fixed order, so that equal vectors tie exactly and go by id.
 
@@ -32,10 +33,10 @@ from .runtime import materialise
 SAMPLE, SAMPLE_QUERIES = 8192, 200
 #: Learned rotations; with 64-dimensional vectors each gives 64 bits.
 ROTATIONS = 4
-#: Rows of a shard at most, and at least where there are tasks to spare.
-SHARD_ROWS, LEAST_ROWS = 1 << 16, 1 << 13
-#: Queries that meet one shard at once.
-QUERY_BLOCK = 1 << 15
+#: Rows of a shard at most.
+SHARD_ROWS = 1 << 16
+#: Queries that meet one shard at once, at most, and at least where there are tasks to spare.
+QUERY_BLOCK, LEAST_QUERIES = 1 << 15, 1 << 10
 SUBSTRING = 16
 
 
@@ -69,23 +70,25 @@ class Codes:
 
 
 class MultiIndex:
-    """Tables of one shard: for each substring the rows in order of its value, and where each of the 2^16 values begins."""
+    """Tables of one shard: for each substring the rows in order of its value, and where each of the 2^16 values begins and how many
+    it has."""
 
     def __init__(self, codes: np.ndarray):
         self.codes, self.tables = codes, []
         for j in range(codes.shape[1]):
             order = np.argsort(codes[:, j], kind="stable").astype(np.int32)
-            self.tables.append((order, np.searchsorted(codes[order, j], np.arange((1 << SUBSTRING) + 1)).astype(np.int32)))
+            count = np.bincount(codes[:, j], minlength=1 << SUBSTRING).astype(np.int32)
+            self.tables.append((order, np.cumsum(count, dtype=np.int32) - count, count))
 
     def within(self, code: np.ndarray, radius: int) -> np.ndarray:
         """Rows whose code differs from ``code`` in at most ``radius`` bits: probes every value that near in every table."""
         near, found = radius // len(self.tables), np.zeros(len(self.codes), bool)
         masks = MASKS[: FIRST_OF_WEIGHT[min(near, SUBSTRING) + 1]]
-        for (order, first), own in zip(self.tables, code, strict=True):
-            probe = (masks ^ own).astype(np.int64)
-            lo = first[probe]
-            n = first[probe + 1] - lo
-            lo, n = lo[n > 0], n[n > 0]
+        for (order, first, count), own in zip(self.tables, code, strict=True):
+            probe = masks ^ own
+            n = count[probe]
+            held = np.flatnonzero(n)
+            lo, n = first[probe[held]], n[held]
             found[order[np.repeat(lo - np.cumsum(n) + n, n) + np.arange(n.sum())]] = True
         rows = np.flatnonzero(found)
         return rows[np.bitwise_count(self.codes[rows] ^ code).sum(1) <= radius]
@@ -157,8 +160,9 @@ def search(vectors: DataFrame, every: int = 20, k: int = 20, recall: float = 0.9
     codes = Codes.fit(sample)
     radius = fit_radius(sample, codes, k, recall)
     n = rows.count()
-    shards = max(-(-n // SHARD_ROWS), min(spark.sparkContext.defaultParallelism, n // LEAST_ROWS), 1)
-    blocks = -(-n // every // QUERY_BLOCK) or 1
+    shards, asked = max(-(-n // SHARD_ROWS), 1), -(-n // every)
+    # Copies of vectors for idle tasks: at most one shard for each of them.
+    blocks = max(-(-asked // QUERY_BLOCK), min(-(-spark.sparkContext.defaultParallelism // shards), asked // LEAST_QUERIES), 1)
     shared = spark.sparkContext.broadcast(codes)  # ROTATIONS square matrices
     data = rows.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int")).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     queries = rows.where(F.col("id") % every == 0).withColumn("block", F.pmod(F.xxhash64("id", F.lit(1)), F.lit(blocks)).cast("int"))
