@@ -20,6 +20,7 @@ def plan(df) -> str:
 
 #: Joins that may be left: of one row with the number of sets.
 QUERIES = {
+    "flagship": 0,
     "threshold_choice": 1,
     "rmse_by_band": 0,
     "sampled_pair_errors": 0,
