@@ -32,3 +32,19 @@ def test_whole_edges_are_not_replayed_a_set_a_call(spark):
 def test_the_grid_of_faults_makes_its_stream_once(spark):
     text = catalog.QUERIES["faults_by_reserve"](spark, SMALL)._jdf.queryExecution().optimizedPlan().toString()
     assert "l_orderkey" not in text and "Window" not in text
+
+
+def test_random_subsets_of_lines_are_taken_before_anything_is_shuffled(spark, tmp_path):
+    from pyspark.sql import Window
+    from pyspark.sql import functions as F
+
+    from setstream.plans.workloads import big_set
+
+    rows = [(i % 400, i % 7) for i in range(3000)]  # lines are there more than once
+    spark.createDataFrame(rows, "l_orderkey bigint, l_linenumber int").repartition(5).write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = big_set(spark, str(tmp_path), 100, sets=3)
+    assert "MapInArrow" in got._jdf.queryExecution().optimizedPlan().toString()
+    every = spark.createDataFrame(sorted({(s, a * 8 + b) for a, b in rows for s in (1, 2, 3)}), "set_id bigint, element bigint")
+    order = F.row_number().over(Window.partitionBy("set_id").orderBy(F.xxhash64("element", "set_id"), "element"))
+    want = every.withColumn("r", order).where("r <= 100").select("set_id", "element")
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
