@@ -20,3 +20,10 @@ def test_observed_faults_are_near_their_bound(spark):
 def test_minwise_rates_are_near_ideal(spark):
     rows = {r["family"]: r for r in catalog.QUERIES["minwise_check"](spark, SMALL).collect()}
     assert all(abs(r["observed"] - r["ideal"]) < 0.02 for r in rows.values())
+
+
+def test_guarantees_stand_on_every_line_of_the_table(spark, duck):
+    rows = catalog.QUERIES["bins_guarantee_rows"](spark, SMALL).collect()
+    (suppliers,) = duck.execute("SELECT count(DISTINCT l_suppkey) FROM lineitem").fetchone()
+    shares = dict(duck.execute("SELECT l_suppkey, count(DISTINCT l_partkey) / (SELECT count(DISTINCT l_partkey) FROM lineitem)::DOUBLE FROM lineitem GROUP BY 1").fetchall())
+    assert len(rows) == suppliers * len(catalog.GUARANTEES) and {r["set_id"]: r["r1"] for r in rows} == shares
