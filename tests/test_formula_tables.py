@@ -1,5 +1,6 @@
 """Formulas are evaluated on sets of the given tables, read by Spark's tasks."""
 
+import duckdb
 import pytest
 from checks import SMALL
 
@@ -27,3 +28,15 @@ def test_guarantees_stand_on_every_line_of_the_table(spark, duck):
     (suppliers,) = duck.execute("SELECT count(DISTINCT l_suppkey) FROM lineitem").fetchone()
     shares = dict(duck.execute("SELECT l_suppkey, count(DISTINCT l_partkey) / (SELECT count(DISTINCT l_partkey) FROM lineitem)::DOUBLE FROM lineitem GROUP BY 1").fetchall())
     assert len(rows) == suppliers * len(catalog.GUARANTEES) and {r["set_id"]: r["r1"] for r in rows} == shares
+
+
+def test_guarantees_of_small_sets_equal_the_sql_to_the_bit(spark, tmp_path):
+    """Sets of 1 to 200 out of 2,000 parts, and lines without a part or a supplier."""
+    con = duckdb.connect()
+    con.execute("""CREATE TABLE lineitem AS SELECT s AS l_suppkey, (s * 10 + p) % 2000 AS l_partkey, 'N' AS l_returnflag FROM range(1, 201) a(s), range(200) b(p) WHERE p < s
+UNION ALL SELECT NULL, p, 'R' FROM range(2000) c(p) UNION ALL SELECT s, NULL, 'R' FROM range(1, 301) d(s)""")
+    con.execute(f"COPY lineitem TO '{tmp_path}/lineitem.parquet' (FORMAT parquet)")
+    theirs = con.execute(catalog.ORACLES["bins_guarantee_rows"]).fetchall()
+    names = [c[0] for c in con.description]
+    ours = [tuple(r[c] for c in names) for r in catalog.QUERIES["bins_guarantee_rows"](spark, str(tmp_path)).collect()]
+    assert len(ours) == 200 * len(catalog.GUARANTEES) and sorted(ours) == sorted(theirs)
