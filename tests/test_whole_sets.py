@@ -3,12 +3,14 @@
 import numpy as np
 import pyarrow as pa
 import pytest
+from checks import SMALL
 from pyspark.sql import functions as F
 
 from setstream.functions.hashing import HashFamily, xxhash
 from setstream.operators import bins as B
 from setstream.operators import cells
 from setstream.operators import reserve as R
+from setstream.sources import collections as col
 from setstream.sources.store import written
 
 
@@ -65,3 +67,9 @@ def test_meetings_by_lines_and_one_by_one(monkeypatch):
         m.add(rows, p[rows], columns, q[columns])
         assert (np.unpackbits(m.bits.view(np.uint8), axis=1, bitorder="little")[:, :130] == want).all()
         assert m.weigh(w_a, w_b) == w_a @ want @ w_b
+
+
+def test_documents_sets_are_those_of_their_rows(spark):
+    whole, rows = col.doc_shingle_sets(spark, SMALL), cells.arrays(col.doc_shingles(spark, SMALL))
+    assert whole.count() == rows.count() and whole.exceptAll(rows).isEmpty()
+    assert whole._jdf.queryExecution().optimizedPlan().toString().count("Aggregate [") == 1
